@@ -1,13 +1,646 @@
-"""Queries of the engine and the SQL that gives the same rows."""
+"""Queries of the engine over whole tables and the SQL that gives the same rows in another engine."""
 
 from __future__ import annotations
 
+import tempfile
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from setoverlap.functions import textsets
+from setoverlap.operators import allpairs, cardinality, exact, mle, pairstats, registers, schemes, simulate, theory
+from setoverlap.plans import sql, workloads as w
+from setoverlap.sources.tables import load_table
+from setoverlap.streaming import windows
+
 FLAGSHIP = "ml_customers_by_year"
+_Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_O: dict[str, str] = {}
+M = w.M
+SIZES = ["card_a", "card_b", "card_both"]
+
+S_YEAR = "SELECT o_custkey AS e, year(o_orderdate) = 1995 AS in_a, year(o_orderdate) = 1996 AS in_b FROM orders"
+S_STATUS = "SELECT o_custkey AS e, o_orderstatus = 'F' AS in_a, o_orderstatus = 'O' AS in_b FROM orders"
+S_RETURN = "SELECT l_orderkey AS e, l_returnflag = 'R' AS in_a, l_returnflag = 'A' AS in_b FROM lineitem"
+S_KEYS = "SELECT l_orderkey AS e, true AS in_a, false AS in_b FROM lineitem UNION ALL SELECT o_orderkey, false, true FROM orders"
+S_FLOWS = "SELECT strftime(ts, '%Y-%m-%d') AS day, user_id AS e, event_type = 'click' AS in_a, event_type = 'purchase' AS in_b FROM events"
+
+
+def query(oracle: str | None = None, name: str | None = None):
+    def keep(f):
+        _Q[name or f.__name__] = f
+        if oracle:
+            _O[name or f.__name__] = oracle
+        return f
+
+    return keep
+
+
+def _stats(src: str, by: str = "", m: int = M) -> str:
+    return sql.stats(sql.pair_registers(src, m, by), m, by)
+
+
+def _round(df: DataFrame, cols: list[str], keys: list[str] | tuple = (), digits: int = 3) -> DataFrame:
+    return df.select(*keys, *[F.round(c, digits).alias(c) for c in cols])
+
+
+# --- registers -----------------------------------------------------------------------------------------------------
+
+@query(f"SELECT k::INTEGER AS k, min({sql.HASH}) AS v FROM (SELECT o_custkey AS e FROM orders) s, range(16) r(k) GROUP BY k")
+def registers_md5_customers(spark, d):
+    return registers.build_registers(load_table(spark, d, "orders"), "o_custkey", m=16, family="md5")
+
+
+@query("SELECT (CAST('0x' || substr(md5('1:' || e), 1, 15) AS BIGINT) % 64)::INTEGER AS k, min(CAST('0x' || substr(md5('0:' || e), 1, 15) AS BIGINT)) AS v FROM (SELECT l_partkey AS e FROM lineitem) s GROUP BY 1")
+def registers_bucketed_parts(spark, d):
+    return registers.build_registers(load_table(spark, d, "lineitem"), "l_partkey", m=64, family="md5", layout="bucketed")
+
+
+_EV = f"SELECT event_type, strftime(ts, '%Y-%m-%d') AS day, k, min({sql.HASH}) AS v FROM (SELECT event_type, ts, user_id AS e FROM events) s, range(8) r(k) GROUP BY 1, 2, 3"
+
+
+def _daily(spark, d):
+    ev = load_table(spark, d, "events").withColumn("day", F.date_format("ts", "yyyy-MM-dd"))
+    return registers.build_registers(ev, "user_id", ["event_type", "day"], 8, "md5")
+
+
+@query(f"SELECT event_type, k::INTEGER AS k, min(v) AS v FROM ({_EV}) q GROUP BY 1, 2")
+def registers_union_merge(spark, d):
+    return registers.merge_registers(_daily(spark, d), ["event_type"])
+
+
+@query(f"SELECT event_type, strftime(date_trunc('week', strptime(day, '%Y-%m-%d')), '%Y-%m-%d') AS week, k::INTEGER AS k, min(v) AS v FROM ({_EV}) q GROUP BY 1, 2, 3")
+def registers_rollup_week(spark, d):
+    return registers.merge_registers(_daily(spark, d).withColumn("week", F.date_format(F.date_trunc("week", F.to_timestamp("day")), "yyyy-MM-dd")), ["event_type", "week"])
+
+
+@query(f"SELECT event_type, day, k::INTEGER AS k, min(v) AS v FROM ({_EV}) q GROUP BY GROUPING SETS ((event_type, day, k), (event_type, k), (day, k), (k))")
+def registers_cube_type(spark, d):
+    return registers.cube_registers(_daily(spark, d), ["event_type", "day"])
+
+
+@query(f"SELECT event_type, day, v FROM (SELECT event_type, day, k, min(v) OVER (PARTITION BY event_type, k ORDER BY day) AS v FROM ({_EV}) q) z WHERE k = 0")
+def registers_running_union(spark, d):
+    run = Window.partitionBy("event_type", "k").orderBy("day").rowsBetween(Window.unboundedPreceding, 0)
+    return _daily(spark, d).where("k = 0").select("event_type", "day", F.min("v").over(run).alias("v"))
+
+
+@query()
+def registers_arrow_engine(spark, d):
+    return registers.build_registers(load_table(spark, d, "orders"), "o_custkey", ["o_orderstatus"], 256, engine="arrow")
+
+
+@query("SELECT event_type, 8 * count(DISTINCT k) AS bytes FROM (SELECT event_type, k FROM events, range(8) r(k)) q GROUP BY 1")
+def sketch_storage(spark, d):
+    regs = registers.merge_registers(_daily(spark, d), ["event_type"])
+    return registers.pack(regs, ["event_type"]).select("event_type", registers.sketch_bytes(F.col("regs")).cast("long").alias("bytes"))
+
+
+# --- pair statistics, likelihood, estimates ----------------------------------------------------------------------------
+
+_SUMS = ["sum_a", "sum_b", "sum_any"]
+
+
+@query(f"SELECT k_tie, k_b, k_a, round(sum_a, 9) AS sum_a, round(sum_b, 9) AS sum_b, round(sum_any, 9) AS sum_any FROM ({_stats(S_YEAR)}) z")
+def pair_stats_customers_year(spark, d):
+    return _round(w.stats_of(w.customers_by_year(spark, d)), _SUMS, ["k_tie", "k_b", "k_a"], 9)
+
+
+@query(f"""WITH r AS (SELECT lang, k, min({sql.HASH}) AS v FROM (SELECT lang, unnest(list_distinct(string_split_regex(lower(text), '\\s+'))) AS e FROM documents) s, range(32) t(k) GROUP BY 1, 2)
+SELECT a.lang AS x, b.lang AS y, round(count(*) FILTER (a.v = b.v) / 32.0, 6) AS jaccard FROM r a JOIN r b ON a.k = b.k AND a.lang < b.lang GROUP BY 1, 2""")
+def jaccard_estimate_langs(spark, d):
+    regs = registers.build_registers(w.language_words(spark, d), "e", ["lang"], 32, "md5")
+    return pairstats.pair_stats_all(regs, "lang", 32, "md5").select("x", "y", F.round(pairstats.jaccard_estimate(), 6).alias("jaccard"))
+
+
+_LL = "k_tie * ln(n) + k_b * ln((b - n) * a) + k_a * ln((a - n) * b) - a * sum_a - b * sum_b + n * sum_any"
+
+
+def _at(stats: DataFrame) -> DataFrame:
+    """Parameters near the maximum for profiles: sizes from energies, n from a grid of shares."""
+    grid = F.explode(F.array(*[F.lit(x) for x in (0.3, 0.5, 0.6, 0.7, 0.8, 0.9)]))
+    return stats.withColumn("share", grid).withColumns({"a": F.col("m") / F.col("sum_a"), "b": F.col("m") / F.col("sum_b")}).withColumn("n", F.col("share") * F.least("a", "b"))
+
+
+_AT = f"SELECT *, share * least(a, b) AS n FROM (SELECT *, m / sum_a AS a, m / sum_b AS b, unnest([0.3, 0.5, 0.6, 0.7, 0.8, 0.9])::DOUBLE AS share FROM ({_stats(S_YEAR)}) s) q"
+
+
+@query(f"SELECT share, round({_LL}, 4) AS log_likelihood FROM ({_AT}) z")
+def loglik_profile(spark, d):
+    return _at(w.stats_of(w.customers_by_year(spark, d))).select("share", F.round(mle.log_likelihood(F.col("a"), F.col("b"), F.col("n")), 4).alias("log_likelihood"))
+
+
+@query(f"SELECT share, round(k_b / a + k_a / (a - n) - sum_a, 9) AS g_a, round(k_a / b + k_b / (b - n) - sum_b, 9) AS g_b, round(k_tie / n - k_b / (b - n) - k_a / (a - n) + sum_any, 9) AS g_n FROM ({_AT}) z")
+def score_at_start(spark, d):
+    g = _at(w.stats_of(w.customers_by_year(spark, d))).withColumn("g", mle.score(F.col("a"), F.col("b"), F.col("n")))
+    return g.select("share", *[F.round(f"g.{x}", 9).alias(x) for x in ("g_a", "g_b", "g_n")])
+
+
+@query(f"SELECT share, round(k_b / a / a + k_a / (a - n) / (a - n), 10) AS aa, round(k_tie / n / n + k_a / (a - n) / (a - n) + k_b / (b - n) / (b - n), 10) AS nn, round(-k_a / (a - n) / (a - n), 10) AS an FROM ({_AT}) z")
+def neg_hessian_at_start(spark, d):
+    g = _at(w.stats_of(w.customers_by_year(spark, d))).withColumn("h", mle.neg_hessian(F.col("a"), F.col("b"), F.col("n")))
+    return g.select("share", *[F.round(f"h.{x}", 10).alias(x) for x in ("aa", "nn", "an")])
+
+
+def _ml(name: str, src, src_sql: str, by: tuple = (), **kw):
+    keys = ", ".join(by)
+    start = kw.get("init", "interior")
+
+    @query(sql.rounded(sql.newton(_stats(src_sql, keys), keys, start=start), SIZES, by, 2), name)
+    def run(spark, d):
+        return _round(mle.mle_intersection(w.stats_of(src(spark, d), list(by)), **kw), SIZES, by, 2)
+
+
+_ml("ml_customers_by_year", w.customers_by_year, S_YEAR)
+_ml("ml_customers_by_status", w.customers_by_status, S_STATUS)
+_ml("ml_orders_by_return", w.orders_by_return, S_RETURN)
+_ml("ml_containment_orders", w.join_keys, S_KEYS)
+_ml("ml_click_purchase_daily", w.shared_flows, S_FLOWS, ("day",))
+_ml("ml_cheap_start", w.customers_by_year, S_YEAR, init="scheme2")
+
+
+@query(sql.rounded(sql.newton(_stats(S_YEAR), "", 3), SIZES, (), 2))
+def ml_three_steps(spark, d):
+    return _round(mle.mle_intersection(w.stats_of(w.customers_by_year(spark, d)), iters=3, tol=0.0), SIZES, (), 2)
+
+
+@query(" UNION ALL ".join(f"SELECT {i}::INTEGER AS iter, round(card_both, 2) AS card_both FROM ({sql.newton(_stats(S_YEAR), '', i)}) z" for i in range(5)))
+def ml_trace(spark, d):
+    return mle.newton_trace(w.stats_of(w.customers_by_year(spark, d)), iters=4).select("iter", F.round("card_both", 2).alias("card_both"))
+
+
+_TYPES = "SELECT event_type AS g, user_id AS e FROM events"
+
+
+def _all_pairs_sql(src: str, m: int) -> str:
+    r = f"SELECT g, k, min({sql.HASH}) AS v FROM ({src}) s, range({m}) t(k) GROUP BY 1, 2"
+    return f"WITH r AS ({r}) SELECT a.g AS x, b.g AS y, a.k AS k, a.v AS va, b.v AS vb FROM r a JOIN r b ON a.k = b.k AND a.g < b.g"
+
+
+@query(sql.rounded(sql.newton(sql.stats(_all_pairs_sql(_TYPES, M), M, "x, y"), "x, y"), SIZES, ("x", "y"), 2))
+def ml_type_pairs_month(spark, d):
+    regs = registers.build_registers(load_table(spark, d, "events"), "user_id", ["event_type"], M, "md5")
+    return _round(mle.mle_intersection(pairstats.pair_stats_all(regs, "event_type", M, "md5")), SIZES, ["x", "y"], 2)
+
+
+@query(sql.rounded(sql.newton(sql.stats(_all_pairs_sql("SELECT l_suppkey AS g, l_partkey AS e FROM lineitem", 16), 16, "x, y"), "x, y"), ["card_both"], ("x", "y"), 2) + " ORDER BY card_both DESC, x, y LIMIT 20")
+def ml_supplier_pairs_top20(spark, d):
+    regs = registers.build_registers(load_table(spark, d, "lineitem"), "l_partkey", ["l_suppkey"], 16, "md5")
+    got = mle.mle_intersection(pairstats.pair_stats_all(regs, "l_suppkey", 16, "md5"))
+    return _round(got, ["card_both"], ["x", "y"], 2).orderBy(F.desc("card_both"), "x", "y").limit(20)
+
+
+_CARDS = "m / sum_a AS ca, m / sum_b AS cb, m / sum_any AS cu, 1.0 * k_tie / (k_tie + k_a + k_b) AS j"
+
+
+def _scheme(name: str, formula: str, column, src, src_sql: str):
+    @query(f"SELECT round({formula}, 3) AS estimate FROM (SELECT {_CARDS} FROM ({_stats(src_sql)}) s) z", name)
+    def run(spark, d):
+        return schemes.with_cardinalities(w.stats_of(src(spark, d))).select(F.round(column(), 3).alias("estimate"))
+
+
+for _label, _src, _text in (("year", w.customers_by_year, S_YEAR), ("return", w.orders_by_return, S_RETURN)):
+    _scheme(f"scheme1_inclusion_exclusion_{_label}", "ca + cb - cu", schemes.scheme_incl_excl, _src, _text)
+    _scheme(f"scheme2_jaccard_union_{_label}", "j * cu", schemes.scheme_jaccard_union, _src, _text)
+    _scheme(f"scheme3_jaccard_sum_{_label}", "j / (1 + j) * (ca + cb)", schemes.scheme_jaccard_sum, _src, _text)
+
+
+@query(f"SELECT 'inclusion_exclusion' AS scheme, round(ca + cb - cu, 2) AS estimate FROM (SELECT {_CARDS} FROM ({_stats(S_STATUS)}) s) z UNION ALL SELECT 'jaccard_union', round(j * cu, 2) FROM (SELECT {_CARDS} FROM ({_stats(S_STATUS)}) s) z UNION ALL SELECT 'jaccard_sum', round(j / (1 + j) * (ca + cb), 2) FROM (SELECT {_CARDS} FROM ({_stats(S_STATUS)}) s) z UNION ALL SELECT 'ml', round(card_both, 2) FROM ({sql.newton(_stats(S_STATUS))}) z")
+def schemes_side_by_side(spark, d):
+    return schemes.estimate_all(w.stats_of(w.customers_by_status(spark, d))).select("scheme", F.round("estimate", 2).alias("estimate"))
+
+
+@query(f"SELECT day, round(sqrt(v), 3) AS std_err FROM (SELECT day, CASE WHEN card_both > 0 THEN ((card_a + card_b - card_both) / {M}) / (1 / card_both + (card_b - card_both) / (card_a * card_a + (card_a - card_both) * (card_b - card_both)) + (card_a - card_both) / (card_b * card_b + (card_a - card_both) * (card_b - card_both))) ELSE 0 END AS v FROM ({sql.newton(_stats(S_FLOWS, 'day'), 'day')}) y) z")
+def ml_intervals_daily(spark, d):
+    return _round(mle.estimate_interval(mle.mle_intersection(w.stats_of(w.shared_flows(spark, d), ["day"]))), ["std_err"], ["day"])
+
+
+@query()
+def ml_bucketed_return(spark, d):
+    got = mle.estimate_interval(mle.mle_intersection(w.stats_of(w.orders_by_return(spark, d), m=1024, family="xxhash64", layout="bucketed")))
+    return got.select("card_a", "card_b", "card_both", "std_err", "boundary")
+
+
+@query()
+def alert_flow_jumps(spark, d):
+    """Days whose shared error/click flows differ from the trailing week's mean, in standard errors."""
+    est = mle.estimate_interval(mle.mle_intersection(w.stats_of(w.shared_flows(spark, d, "error", "click"), ["day"], 512, "xxhash64")))
+    before = Window.orderBy("day").rowsBetween(-7, -1)  # one row a day: a report, not the data
+    return est.withColumn("expected", F.avg("card_both").over(before)).select("day", "card_both", "expected", F.try_divide(F.col("card_both") - F.col("expected"), F.col("std_err")).alias("jump"))
+
+
+# --- cardinalities -------------------------------------------------------------------------------------------------------
+
+def _hll_sql(elem: str, tab: str, m: int) -> str:
+    h = lambda k: f"CAST('0x' || substr(md5('{k}:' || {elem}), 1, 15) AS BIGINT)"
+    return f"SELECT ({h(1)} % {m})::INTEGER AS bucket, max(61 - CASE WHEN {h(0)} > 0 THEN length(bin({h(0)})) ELSE 0 END)::INTEGER AS rank FROM {tab} GROUP BY 1"
+
+
+@query(_hll_sql("l_partkey", "lineitem", 64))
+def hll_registers_parts(spark, d):
+    return cardinality.hll_registers(load_table(spark, d, "lineitem"), "l_partkey", m=64, family="md5")
+
+
+@query(f"SELECT round({cardinality.hll_alpha(512)!r}::DOUBLE * 512 * 512 / (sum(pow(2.0, -rank)) + 512 - count(*)), 3) AS card_hll FROM ({_hll_sql('o_orderkey', 'orders', 512)}) z")
+def hll_cardinality_orders(spark, d):
+    regs = cardinality.hll_registers(load_table(spark, d, "orders"), "o_orderkey", m=512, family="md5")
+    return cardinality.hll_estimate(regs, [], 512).select(F.round("card_hll", 3).alias("card_hll"))
+
+
+@query(f"SELECT round(512 * ln(512.0 / greatest(512 - count(*), 1)), 3) AS card_hll FROM ({_hll_sql('s_suppkey', 'supplier', 512)}) z")
+def hll_linear_small(spark, d):
+    regs = cardinality.hll_registers(load_table(spark, d, "supplier"), "s_suppkey", m=512, family="md5")
+    return cardinality.hll_estimate(regs, [], 512, "linear").select(F.round("card_hll", 3).alias("card_hll"))
+
+
+@query(f"SELECT event_type, round(63 / sum({sql.energy('v')}), 3) AS card_unbiased, round(64 / sum({sql.energy('v')}), 3) AS card FROM (SELECT event_type, k, min({sql.HASH}) AS v FROM (SELECT event_type, user_id AS e FROM events) s, range(64) r(k) GROUP BY 1, 2) q GROUP BY 1")
+def card_from_registers_users(spark, d):
+    from setoverlap.functions.hashing import register_energy
+
+    regs = registers.build_registers(load_table(spark, d, "events"), "user_id", ["event_type"], 64, "md5")
+    s = regs.groupBy("event_type").agg(F.sum(register_energy(F.col("v"), "md5")).alias("s"))
+    m = F.lit(64)
+    return s.select("event_type", F.round(cardinality.card_from_registers(F.col("s"), m, True), 3).alias("card_unbiased"), F.round(cardinality.card_from_registers(F.col("s"), m), 3).alias("card"))
+
+
+@query("SELECT event_type, count(DISTINCT user_id) AS card FROM events GROUP BY 1")
+def exact_cardinality_users(spark, d):
+    return cardinality.exact_cardinality(load_table(spark, d, "events"), "user_id", ["event_type"])
+
+
+@query()
+def native_cardinalities(spark, d):
+    return cardinality.native_cardinality(load_table(spark, d, "orders"), "o_custkey", ["o_orderstatus"])
+
+
+@query()
+def native_theta(spark, d):
+    y = F.year("o_orderdate")
+    return cardinality.native_theta_intersection(load_table(spark, d, "orders"), "o_custkey", y == 1995, y == 1996)
+
+
+@query()
+def schemes_with_hll(spark, d):
+    """Scheme inputs from log-log registers of the two sides and their union (twice the storage: see README)."""
+    m, src = 512, w.customers_by_year(spark, d)
+    sides = src.select("e", F.explode(F.expr("filter(array(if(in_a, 'c_a', null), if(in_b, 'c_b', null), if(in_a or in_b, 'c_any', null)), x -> x is not null)")).alias("side"))
+    cards = cardinality.hll_estimate(cardinality.hll_registers(sides, "e", ["side"], m), ["side"], m).groupBy().pivot("side", ["c_a", "c_b", "c_any"]).agg(F.first("card_hll"))
+    return schemes.estimate_all(w.stats_of(src, m=m, family="xxhash64").crossJoin(F.broadcast(cards)))  # one row each
+
+
+# --- exact baselines and set operations ------------------------------------------------------------------------------------
+
+def _years(spark, d):
+    o = load_table(spark, d, "orders")
+    return [o.where(F.year("o_orderdate") == y).select("o_custkey") for y in (1995, 1996)]
+
+
+_A, _B = ("(SELECT o_custkey FROM orders WHERE year(o_orderdate) = %d)" % y for y in (1995, 1996))
+for _how in ("intersect", "semi", "inner"):
+    def _run(spark, d, how=_how):
+        return exact.exact_intersection(*_years(spark, d), how)
+
+    query(f"SELECT count(*) AS card_both FROM ({_A} INTERSECT {_B}) q", f"exact_{_how}_years")(_run)
+
+
+@query(f"SELECT count(DISTINCT o_custkey) AS only_a FROM {_A} x WHERE o_custkey NOT IN {_B}")
+def exact_anti_years(spark, d):
+    return exact.private_part(*_years(spark, d))
+
+
+_FLAGS = "SELECT {g}count(*) FILTER (a) AS card_a, count(*) FILTER (b) AS card_b, count(*) FILTER (a AND b) AS card_both, count(*) AS card_any, count(*) FILTER (a AND NOT b) AS only_a, count(*) FILTER (b AND NOT a) AS only_b FROM (SELECT {g}e, bool_or(in_a) AS a, bool_or(in_b) AS b FROM ({s}) q WHERE in_a OR in_b GROUP BY {g}e) z {t}"
+
+
+@query(_FLAGS.format(g="", s=S_RETURN, t=""))
+def exact_flags_return(spark, d):
+    return exact.exact_sizes(w.orders_by_return(spark, d), "e", F.col("in_a"), F.col("in_b"))
+
+
+@query(_FLAGS.format(g="day, ", s=S_FLOWS, t="GROUP BY day"))
+def exact_flags_daily(spark, d):
+    return exact.exact_sizes(w.shared_flows(spark, d), "e", F.col("in_a"), F.col("in_b"), ["day"])
+
+
+@query("SELECT 2::BIGINT AS card_both")
+def exact_naive_worked_example(spark, d):
+    a, b = (spark.createDataFrame([(x,) for x in s], "e string") for s in ("abcdab", "aacc"))
+    return exact.exact_intersection_naive(a, b)
+
+
+@query(f"SELECT o_custkey, count(*) AS n FROM ({_A} INTERSECT ALL {_B}) q GROUP BY 1")
+def exact_multiset(spark, d):
+    a, b = _years(spark, d)
+    return a.intersectAll(b).groupBy("o_custkey").agg(F.count("*").alias("n"))
+
+
+@query(f"SELECT o_custkey, count(*) AS n FROM ({_A} EXCEPT ALL {_B}) q GROUP BY 1")
+def exact_multiset_difference(spark, d):
+    a, b = _years(spark, d)
+    return a.exceptAll(b).groupBy("o_custkey").agg(F.count("*").alias("n"))
+
+
+@query("SELECT r_name, count(DISTINCT n_nationkey) FILTER (c) AS card_a, count(DISTINCT n_nationkey) FILTER (s) AS card_b, count(DISTINCT n_nationkey) FILTER (c AND s) AS card_both FROM (SELECT r_name, n_nationkey, n_nationkey IN (SELECT c_nationkey FROM customer) AS c, n_nationkey IN (SELECT s_nationkey FROM supplier) AS s FROM nation JOIN region ON n_regionkey = r_regionkey) q GROUP BY 1")
+def nation_overlap_region(spark, d):
+    t = lambda n: load_table(spark, d, n)
+    ids = t("customer").select(F.col("c_nationkey").alias("e"), F.lit(True).alias("in_a"), F.lit(False).alias("in_b")).unionByName(t("supplier").select(F.col("s_nationkey").alias("e"), F.lit(False).alias("in_a"), F.lit(True).alias("in_b")))
+    flags = ids.groupBy("e").agg(F.bool_or("in_a").alias("c"), F.bool_or("in_b").alias("s"))
+    got = t("nation").join(t("region"), F.col("n_regionkey") == F.col("r_regionkey")).join(flags, F.col("e") == F.col("n_nationkey"), "left")
+    return got.groupBy("r_name").agg(F.count_if("c").alias("card_a"), F.count_if("s").alias("card_b"), F.count_if(F.expr("c and s")).alias("card_both"))
+
+
+@query(f"WITH s AS (SELECT p_brand || '|' || p_type AS e, l_returnflag = 'R' AS in_a, l_returnflag <> 'R' AS in_b FROM lineitem JOIN part ON l_partkey = p_partkey) {_FLAGS.format(g='', s='SELECT * FROM s', t='')}")
+def brand_type_returns(spark, d):
+    j = load_table(spark, d, "lineitem").join(load_table(spark, d, "part"), F.col("l_partkey") == F.col("p_partkey"))
+    return exact.exact_sizes(j, F.concat_ws("|", "p_brand", "p_type"), F.col("l_returnflag") == "R", F.col("l_returnflag") != "R")
+
+
+# --- theory -----------------------------------------------------------------------------------------------------------------
+
+_GRID = "SELECT f::DOUBLE AS size_ratio, o / 10.0::DOUBLE AS overlap, m::BIGINT AS m, 1e6 AS a, 1e6 * f AS b, 1e6 * o / 10.0 AS n, 1e6 + 1e6 * f - 1e6 * o / 10.0 AS u, 1e6 - 1e6 * o / 10.0 AS p, 1e6 * f - 1e6 * o / 10.0 AS q FROM unnest([1, 5, 10]) x(f), range(1, 11) y(o), unnest([1000]) z(m)"
+_Z = "(p * n * (a * a + p * q) + q * n * (b * b + p * q) + (a * a + p * q) * (b * b + p * q))"
+_CRB = f"(n * u * (a * a + p * q) * (b * b + p * q) / {_Z})"
+_THEORY = {
+    "bound": f"{_CRB} / n / n", "scheme1_direct": "(u * u - a * a - b * b + 2 * n * a * b / u) / n / n",
+    "scheme1_printed": f"((u * u - a * a - b * b) - 2 * a * b * n / u + 2 * u * n * (a * a * (b * b + p * q) + b * b * (a * a + p * q)) / {_Z}) / n / n",
+    "scheme2": "u / n", "scheme3_lemma": "((a * a + b * b + 2 * a * b * n / u) + (p + q) * u * u / n) / (a + b) / (a + b)",
+    "scheme3_shared": "((a * a + b * b + 2 * a * b * n / u) + (p + q) * u * u / n + 2 * (a * q + b * p)) / (a + b) / (a + b)",
+    "scheme3_printed": "1 + 2 * a * b / u / (a + b) + (p + q) * u * u / n / (a + b) / (a + b)",
+}
+
+
+def _grid(spark):
+    return simulate.experiment_grid(spark, overlaps=[i / 10 for i in range(1, 11)])
+
+
+@query(f"SELECT size_ratio, overlap, m, {', '.join(f'round({v}, 5) AS {k}' for k, v in _THEORY.items())} FROM ({_GRID}) g")
+def theory_scheme_variances(spark, d):
+    return _round(simulate.theory_table(_grid(spark)), list(_THEORY), ["size_ratio", "overlap", "m"], 5)
+
+
+def _abn(spark, most: float = 1.0):
+    g = _grid(spark).where(f"overlap < {most}")
+    return g.withColumns({"b": F.col("a") * F.col("size_ratio"), "n": F.col("a") * F.col("overlap"), "mm": F.col("m").cast("double")})
+
+
+@query(f"SELECT size_ratio, overlap, round({_CRB} / n / n, 5) AS closed, round({_CRB} / n / n, 5) AS inverse FROM ({_GRID}) g WHERE overlap < 1")
+def theory_crb_grid(spark, d):
+    a, b, n, m = (F.col(x) for x in ("a", "b", "n", "mm"))
+    g = _abn(spark)
+    return g.select("size_ratio", "overlap", F.round(theory.crb_intersection(a, b, n, m) * m / n / n, 5).alias("closed"), F.round(theory.crb_from_fisher(a, b, n, m) * m / n / n, 5).alias("inverse"))
+
+
+@query(f"SELECT size_ratio, overlap, round(m / u * (q / a / a + 1 / p) * 1e9, 5) AS aa, round(m / u * (1 / n + 1 / p + 1 / q) * 1e9, 5) AS nn, round(-m / u / p * 1e9, 5) AS an FROM ({_GRID}) g WHERE overlap < 1")
+def fisher_grid(spark, d):
+    g = _abn(spark).withColumn("i", theory.fisher_matrix(F.col("a"), F.col("b"), F.col("n"), F.col("mm")))
+    return g.select("size_ratio", "overlap", *[F.round(F.col(f"i.{x}") * 1e9, 5).alias(x) for x in ("aa", "nn", "an")])
+
+
+@query(f"SELECT size_ratio, overlap, round(n / u, 9) AS p_tie, round(q / u, 9) AS p_b, round(p / u, 9) AS p_a FROM ({_GRID}) g")
+def case_probabilities(spark, d):
+    g = _abn(spark, 2.0).withColumn("c", theory.case_probabilities(F.col("a"), F.col("b"), F.col("n")))
+    return g.select("size_ratio", "overlap", *[F.round(f"c.{x}", 9).alias(x) for x in ("p_tie", "p_b", "p_a")])
+
+
+@query("SELECT c::BIGINT AS c, round(c / (c + 1.0), 9) AS mean, round(c / ((c + 1.0) * (c + 1) * (c + 2)), 9) AS var FROM range(1, 50) r(c)")
+def max_hash_moments(spark, d):
+    c = F.col("c").cast("double")
+    return spark.range(1, 50).toDF("c").select("c", F.round(theory.max_hash_mean(c), 9).alias("mean"), F.round(theory.max_hash_var(c), 9).alias("var"))
+
+
+@query(f"SELECT size_ratio, overlap, round((a * a + b * b + 2 * a * b * n / u) / a / a, 6) AS var_sum, round(n / u * (1 - n / u) / pow(1 + n / u, 4), 9) AS var_ratio, round(n * a * b / u / a / a, 6) AS cov_ab FROM ({_GRID}) g")
+def theory_pieces(spark, d):
+    a, b, n, m = (F.col(x) for x in ("a", "b", "n", "mm"))
+    j = n / (a + b - n)
+    return _abn(spark, 2.0).select("size_ratio", "overlap", F.round(theory.var_card_sum(a, b, n, m) * m / a / a, 6).alias("var_sum"), F.round(theory.var_jaccard_ratio(j, m) * m, 9).alias("var_ratio"), F.round(theory.cov_card_card(a, b, n, m) * m / a / a, 6).alias("cov_ab"))
+
+
+# --- experiments ---------------------------------------------------------------------------------------------------------------
+
+def _controlled_rows(spark, d, overlaps):
+    """Key ranges sized by the table: a is the largest power of ten that fits 11 times."""
+    n = load_table(spark, d, "orders").count()
+    a = 10 ** (len(str(max(n // 11, 1))) - 1)
+    k = F.col("e")
+    cells = [(f, o, int(round(o * a))) for f in (1, 5, 10) for o in overlaps]
+    one = load_table(spark, d, "orders").select(F.col("o_orderkey").alias("e"))
+    cell = F.explode(F.array(*[F.struct(F.lit(float(f)).alias("size_ratio"), F.lit(float(o)).alias("overlap"), (k < a).alias("in_a"), ((k >= a - t) & (k < a - t + f * a)).alias("in_b")) for f, o, t in cells]))
+    return one.where(k < 11 * a).select(k, cell.alias("c")).select("e", "c.*"), a
+
+
+_CTL = "WITH z AS (SELECT pow(10, length((greatest(count(*) // 11, 1))::VARCHAR) - 1)::BIGINT AS a FROM orders), c AS (SELECT f, o, a, round(o * a)::BIGINT AS t FROM z, unnest([1, 5, 10]) x(f), unnest([0.0, 0.1, 0.5, 0.9, 1.0]) y(o)) SELECT f::DOUBLE AS size_ratio, o::DOUBLE AS overlap, o_orderkey AS e, o_orderkey < a AS in_a, o_orderkey >= a - t AND o_orderkey < a - t + f * a AS in_b FROM orders, c WHERE o_orderkey < 11 * a"
+
+
+@query(sql.rounded(sql.newton(_stats(_CTL, "size_ratio, overlap"), "size_ratio, overlap"), SIZES, ("size_ratio", "overlap"), 2))
+def controlled_overlap_orders(spark, d):
+    rows, _ = _controlled_rows(spark, d, (0.0, 0.1, 0.5, 0.9, 1.0))
+    return _round(mle.mle_intersection(w.stats_of(rows, ["size_ratio", "overlap"])), SIZES, ["size_ratio", "overlap"], 2)
+
+
+def _table_trials(spark, d, replicates: int = 20, m: int = 64):
+    """Real hashing with disjoint function blocks as trials: function index k belongs to trial k div m."""
+    rows, a = _controlled_rows(spark, d, (0.1, 0.5, 0.9))
+    by = ["size_ratio", "overlap"]
+    regs = registers.pair_registers(rows, "e", F.col("in_a"), F.col("in_b"), by, m * replicates).withColumn("trial", F.floor(F.col("k") / m))
+    stats = pairstats.pair_stats(regs, [*by, "trial"], m)
+    return schemes.estimate_all(stats, [*by, "trial", "m"]).withColumn("truth", F.col("overlap") * a)
+
+
+@query()
+def accuracy_controlled(spark, d):
+    return simulate.accuracy_table(_table_trials(spark, d))
+
+
+@query()
+def improvement_controlled(spark, d):
+    return simulate.improvement_table(simulate.accuracy_table(_table_trials(spark, d)))
+
+
+def simulated_accuracy(spark, ratios, overlaps, ms, trials, seed=1) -> DataFrame:
+    grid = simulate.experiment_grid(spark, ratios, overlaps, ms)
+    est = schemes.estimate_all(simulate.simulate_stats(grid, trials, seed), ["size_ratio", "overlap", "m", "a"])
+    return simulate.accuracy_table(est.withColumn("truth", F.col("overlap") * F.col("a")))
+
+
+#: Trials for each cell in registered figures; the full experiment takes 10,000 (bench.py has a flag).
+TRIALS, STEPS = 500, [i / 20 for i in range(21)]
+
+
+@query()
+def fig1_bias(spark, d):
+    return simulated_accuracy(spark, (1.0,), STEPS, (1000, 10000), TRIALS).where("scheme = 'ml'").select("size_ratio", "overlap", "m", "bias_norm")
+
+
+@query()
+def fig2_variance(spark, d):
+    return simulated_accuracy(spark, (1.0, 5.0, 10.0), STEPS, (100, 500, 1000, 10000), TRIALS).where("scheme = 'ml'").select("size_ratio", "overlap", "m", "var_norm")
+
+
+@query()
+def fig3_improvement(spark, d):
+    return simulate.improvement_table(simulated_accuracy(spark, (1.0, 5.0, 10.0), STEPS, (1000, 10000), TRIALS))
+
+
+@query("SELECT s AS scheme, 1000::BIGINT AS m, true AS dominates FROM unnest(['inclusion_exclusion', 'jaccard_union', 'jaccard_sum']) x(s)")
+def ml_dominates(spark, d):
+    """Over overlaps up to .9 with 2,000 trials a cell; slack of 4 standard errors of a variance ratio."""
+    acc = simulated_accuracy(spark, (1.0, 5.0, 10.0), [0.1, 0.3, 0.5, 0.7, 0.9], (1000,), 2000, 3)
+    return simulate.dominance_check(simulate.improvement_table(acc), 0.13)
+
+
+@query("SELECT true AS within_four_sigma")
+def simulators_agree(spark, d):
+    """Register-level and statistic-level draws have the same mean tie count and union energy."""
+    grid = simulate.experiment_grid(spark, (5.0,), (0.5,), (200,))
+    one = lambda x: x.agg(F.avg("k_tie").alias("t"), F.var_samp("k_tie").alias("tv"), F.avg(F.col("sum_any") * F.col("a")).alias("u"), F.var_samp(F.col("sum_any") * F.col("a")).alias("uv"), F.count("*").alias("c"))
+    x, y = one(simulate.simulate_registers(grid, 400)), one(simulate.simulate_stats(grid, 4000))
+    both = x.toDF(*[f"x{c}" for c in x.columns]).crossJoin(y)  # one row each
+    near = lambda s: F.abs(F.col(f"x{s}") - F.col(s)) <= 4 * F.sqrt(F.col(f"x{s}v") / F.col("xc") + F.col(f"{s}v") / F.col("c"))
+    return both.select((near("t") & near("u")).alias("within_four_sigma"))
+
+
+@query()
+def hll_accuracy_simulated(spark, d):
+    m = 256
+    got = cardinality.hll_estimate(simulate.simulate_hll(spark, [1e5, 1e6], m, 100), ["size", "trial"], m)
+    return got.groupBy("size").agg((F.avg("card_hll") / F.first("size")).alias("ratio"), (F.var_pop("card_hll") * m / F.first("size") / F.first("size")).alias("var_times_m"))
+
+
+# --- text workloads ----------------------------------------------------------------------------------------------------------------
+
+_SH = r"SELECT DISTINCT doc_id, array_to_string(ws[i : i + 4], ' ') AS e FROM (SELECT doc_id, string_split_regex(lower(trim(text)), '\s+') AS ws FROM documents) q, unnest(range(1, greatest(len(ws) - 3, 2))) u(i)"
+
+
+@query(f"WITH s AS ({_SH}), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1), p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM s a JOIN s b ON a.e = b.e AND a.doc_id < b.doc_id GROUP BY 1, 2) SELECT x, y, c AS card_both, h.n + k.n - c AS card_any FROM p JOIN n h ON h.doc_id = x JOIN n k ON k.doc_id = y WHERE 2 * c >= h.n + k.n - c")
+def doc_near_duplicates_exact(spark, d):
+    return allpairs.exact_pair_overlaps(w.document_shingles(spark, d), "doc_id", "e").where("2 * card_both >= card_any")
+
+
+@query()
+def doc_near_duplicates_ml(spark, d):
+    regs = registers.build_registers(w.document_shingles(spark, d), "e", ["doc_id"], 64)
+    got = mle.mle_intersection(allpairs.similar_pairs(regs, "doc_id", 64))
+    return got.where("jaccard >= 0.5").select("x", "y", "card_both", "jaccard")
+
+
+@query()
+def doc_banding_candidates(spark, d):
+    regs = registers.build_registers(w.document_shingles(spark, d), "e", ["doc_id"], 64)
+    return allpairs.band_candidates(regs, "doc_id")
+
+
+_BSH = _SH.replace("documents", "benchmark").replace("doc_id", "item_id")
+
+
+@query(f"WITH s AS ({_SH}), b AS ({_BSH}), n AS (SELECT item_id, count(*) AS n FROM b GROUP BY 1) SELECT item_id, doc_id, count(*) AS card_both, any_value(n.n) AS card_a FROM b JOIN s USING (e) JOIN n USING (item_id) GROUP BY 1, 2 HAVING 2 * count(*) >= any_value(n.n)")
+def benchmark_containment(spark, d):
+    items = load_table(spark, d, "benchmark").select("item_id", F.explode(textsets.shingles(F.col("text"))).alias("e"))
+    n = items.groupBy("item_id").agg(F.count("*").alias("card_a"))
+    got = items.join(w.document_shingles(spark, d), "e").groupBy("item_id", "doc_id").agg(F.count("*").alias("card_both"))
+    return got.join(n, "item_id").where("2 * card_both >= card_a").select("item_id", "doc_id", "card_both", "card_a")
+
+
+def _labelled(spark, d, label):
+    docs = load_table(spark, d, "documents").join(load_table(spark, d, "labels"), "doc_id")
+    words = docs.select(F.explode(F.array_distinct(textsets.words(F.col("text")))).alias("e"), (F.col(label) == 0).alias("in_a"), (F.col(label) == 1).alias("in_b"))
+    return exact.exact_sizes(words, "e", F.col("in_a"), F.col("in_b"))
+
+
+for _lab in ("quality", "toxic"):
+    def _run(spark, d, lab=_lab):
+        return _labelled(spark, d, lab)
+
+    query(_FLAGS.format(g="", t="", s=rf"SELECT unnest(string_split_regex(lower(text), '\s+')) AS e, {_lab} = 0 AS in_a, {_lab} = 1 AS in_b FROM documents JOIN labels USING (doc_id)"), f"label_vocab_overlap_{_lab}")(_run)
+
+
+@query("WITH s AS (SELECT DISTINCT source AS g, trim(unnest(string_split(text, chr(10)))) AS e FROM documents) SELECT a.g AS x, b.g AS y, count(*) AS card_both FROM s a JOIN s b ON a.e = b.e AND a.g < b.g WHERE a.e <> '' GROUP BY 1, 2")
+def line_boilerplate_sources(spark, d):
+    s = load_table(spark, d, "documents").select("source", F.explode(textsets.lines(F.col("text"))).alias("e"))
+    return allpairs.exact_pair_overlaps(s, "source", "e").select("x", "y", "card_both")
+
+
+@query(rf"SELECT lang, count(DISTINCT e) AS card FROM (SELECT lang, unnest(string_split_regex(lower(text), '\s+')) AS e FROM documents) q GROUP BY 1")
+def vocabulary_sizes(spark, d):
+    return cardinality.exact_cardinality(w.language_words(spark, d), "e", ["lang"])
+
+
+@query(_FLAGS.format(g="", t="", s=r"SELECT unnest(string_split_regex(lower(text), '\s+')) AS e, role = 'user' AS in_a, role = 'assistant' AS in_b FROM conversations"))
+def role_vocab(spark, d):
+    c = load_table(spark, d, "conversations").select(F.explode(F.array_distinct(textsets.words(F.col("text")))).alias("e"), (F.col("role") == "user").alias("in_a"), (F.col("role") == "assistant").alias("in_b"))
+    return exact.exact_sizes(c, "e", F.col("in_a"), F.col("in_b"))
+
+
+@query(r"SELECT h AS host, count(DISTINCT e) AS card FROM (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS h, unnest(string_split_regex(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '\s+')) AS e FROM pages) q GROUP BY 1")
+def page_host_words(spark, d):
+    p = load_table(spark, d, "pages").select(textsets.host(F.col("url")).alias("host"), F.explode(F.array_distinct(textsets.words(textsets.stripped(F.col("html"))))).alias("e"))
+    return cardinality.exact_cardinality(p, "e", ["host"])
+
+
+@query("SELECT page_id, len(list_distinct(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))) AS n_links FROM pages")
+def page_links(spark, d):
+    return load_table(spark, d, "pages").select("page_id", F.size(textsets.links(F.col("html"))).cast("long").alias("n_links"))
+
+
+_CODE = " + ".join(f"CASE WHEN embedding[{i + 1}] > 0 THEN {1 << i} ELSE 0 END" for i in range(8))
+
+
+@query(f"WITH s AS (SELECT DISTINCT label AS g, {_CODE} AS e FROM embeddings) SELECT a.g AS x, b.g AS y, count(*) AS card_both FROM s a JOIN s b ON a.e = b.e AND a.g < b.g GROUP BY 1, 2")
+def embedding_cells(spark, d):
+    code = F.lit(0)
+    for i in range(8):
+        code = code + F.when(F.get("embedding", F.lit(i)) > 0, 1 << i).otherwise(0)
+    return allpairs.exact_pair_overlaps(load_table(spark, d, "embeddings").select("label", code.alias("e")), "label", "e").select("x", "y", "card_both")
+
+
+@query("SELECT (from_json(props, '{\"k\":\"BIGINT\"}')).k AS k, count(DISTINCT user_id) AS card FROM events GROUP BY 1")
+def users_by_property(spark, d):
+    return cardinality.exact_cardinality(load_table(spark, d, "events").withColumn("k", F.get_json_object("props", "$.k").cast("long")), "user_id", ["k"])
+
+
+# --- streams ------------------------------------------------------------------------------------------------------------------------
+
+def _folder(spark) -> str:
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    import uuid
+
+    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}" if base else tempfile.mkdtemp(prefix="stream-")
+
+
+def _sides():
+    return F.col("event_type") == "click", F.col("event_type") == "purchase"
+
+
+_LAST = "(SELECT max(strftime(ts, '%Y-%m-%d')) FROM events)"
+
+
+@query(sql.rounded(sql.newton(_stats(S_FLOWS + f" WHERE strftime(ts, '%Y-%m-%d') < {_LAST}", "day"), "day"), ["card_both"], ("day",), 2))
+def stream_daily(spark, d):
+    """Tumbling days in append mode, chained aggregations; the last day stays open and is not emitted."""
+    import uuid
+
+    ev = windows.timed(windows.read_events(spark, d))
+    regs = windows.windowed_registers(ev, "user_id", *_sides(), F.window("ts", "1 day"), M, "md5")
+    got = windows.run_to_table(windows.windowed_stats(regs, "1 day", M, "md5"), f"daily_{uuid.uuid4().hex}", _folder(spark))
+    return _round(mle.mle_intersection(got.withColumn("day", F.date_format("w.start", "yyyy-MM-dd"))), ["card_both"], ["day"], 2)
+
+
+def _windowed(name, window, m=M):
+    @query(None, name)
+    def run(spark, d):
+        ev = load_table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+        est = mle.mle_intersection(windows.batch_windowed_stats(ev, "user_id", *_sides(), window(), m, "md5"))
+        return est.select(F.col("w.start").cast("string").alias("start"), F.col("w.end").cast("string").alias("end"), F.round("card_both", 2).alias("card_both"))
+
+
+_windowed("window_sliding_week", lambda: F.window("ts", "7 days", "1 day"))
+_windowed("window_hourly", lambda: F.window("ts", "1 hour"), 16)
+_windowed("window_session", lambda: F.session_window("ts", "30 minutes"), 16)
 
 
-def queries() -> dict:
-    return {}
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return dict(_Q)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_O)
