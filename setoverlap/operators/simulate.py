@@ -54,7 +54,7 @@ def simulate_registers(grid: DataFrame, trials: int, seed: int = 1) -> DataFrame
     rows = rows.withColumns({"ep": draw(F.col("a") - n, 0), "eq": draw(b - n, 1), "en": draw(n, 2)})
     rows = rows.withColumns({"ea": F.least("ep", "en"), "eb": F.least("eq", "en")})
     got = rows.groupBy("cell", "trial", "size_ratio", "overlap", "a", "m").agg(
-        F.count_if("ea = eb").alias("k_tie"), F.count_if("ea > eb").alias("k_b"), F.count_if("ea < eb").alias("k_a"),
+        F.count_if(F.expr("ea = eb")).alias("k_tie"), F.count_if(F.expr("ea > eb")).alias("k_b"), F.count_if(F.expr("ea < eb")).alias("k_a"),
         F.sum("ea").alias("sum_a"), F.sum("eb").alias("sum_b"), F.sum(F.least("ea", "eb")).alias("sum_any"))
     return got.withColumns({"k_b_seen": F.col("k_b"), "k_a_seen": F.col("k_a"), "scale": F.lit(1.0)})
 
