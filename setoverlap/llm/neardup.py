@@ -3,11 +3,11 @@
 1. A document's words make its set of distinct five-word shingles (64-bit hashes); equal sets are one node, named by
    its smallest doc_id, so copies never become pairs.
 2. BANDS x ROWS minima under universal hash functions make one key a band; a pair at similarity 0.75 shares no key
-   with probability (1 - 0.75^ROWS)^BANDS, below 4e-6. Keys of one node only are dropped.
-3. Rounds: in each key with nodes of two or more components so far, nodes meet the key's leader (its smallest node
-   outside their component), once each; pairs pass an estimate from the minima, then the exact test on full sets. A
-   last round compares what still shares a key across components, pair by pair. Groups of near copies thus cost
-   a pair for each member, not for each two.
+   with probability (1 - 0.75^ROWS)^BANDS, below 5e-5 at 0.75 itself and
+   3e-8 at 0.8; long keys keep texts that share only a passage apart. Keys of one node only are dropped.
+3. A star round joins each node with the smallest and the largest node that lead its keys; pairs pass an estimate
+   from the minima, then the exact test on full sets. What then still shares a key across components is compared
+   pair by pair in keys of few nodes; larger keys join into clusters whose nodes meet in blocks, as matrices.
 4. Components come from alternating large-star and small-star steps over the links until nothing changes.
 
 Defined cases: null or empty texts and texts without words have an empty set and link with nothing; with one to four
@@ -28,10 +28,14 @@ from pyspark.sql import functions as F
 from setoverlap.llm.common import id_and_text, materialised, small_batches
 
 SHINGLE = 5
-BANDS, ROWS, SEED = 64, 6, 11
+BANDS, ROWS, SEED = 96, 8, 11
+#: Minima that the estimate before the exact test compares.
+ESTIMATE = 128
 SIMILAR = (75, 100)
-#: Pairs whose share of equal minima falls below this cannot be similar (over ten standard errors at 384 minima).
-LEAST_ESTIMATE = 0.5
+#: Pairs whose share of equal minima falls below this cannot be similar (4.7 standard errors at 128 minima).
+LEAST_ESTIMATE = 0.57
+#: A key of at most FEW nodes is compared pair by pair; larger ones in blocks of about BLOCK nodes.
+FEW, BLOCK = 16, 1024
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -119,7 +123,7 @@ def full_sets(texts: DataFrame) -> DataFrame:
 
     def run(batches):
         cache: dict[bytes, int] = {}
-        a, b = hash_family()
+        a, b = (x[:ESTIMATE] for x in hash_family())
         for batch in batches:
             sets = [shingle_set(t, cache) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([minima(s, a, b).tobytes() for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["node", "minima", "shingles"])
@@ -154,6 +158,54 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.mapInArrow(run, "u long, v long")
 
 
+def within_clusters(nodes: DataFrame, sets: DataFrame) -> DataFrame:
+    """Links (u, v) between components of one cluster, enough of them to join what is linked.
+
+    nodes: (node, cluster, component). A cluster is dealt into blocks of about BLOCK nodes; each two blocks meet in one
+    task, which compares their minima as matrices and the near ones by full sets, and returns a link only
+    where it joins two components of the task. Rows grow as n^2 / BLOCK; no pair is written out.
+    """
+    small_batches(sets.sparkSession)
+    sizes = nodes.groupBy("cluster").agg(F.count("*").alias("n"), F.min("component").alias("c1"), F.max("component").alias("c2")).where("c1 < c2")
+    rows = nodes.join(sizes.select("cluster", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks")), "cluster").join(sets, "node")
+    mine = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    rows = rows.withColumn("mine", mine).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.select("cluster", F.least("mine", "j").alias("i"), F.greatest("mine", "j").alias("j"), "mine", "node", "component", "minima", "shingles")
+    over, under = SIMILAR
+
+    def compare(frame):
+        import pandas as pd
+
+        i, j = frame["i"].iloc[0], frame["j"].iloc[0]
+        root: dict[int, int] = {}
+
+        def find(c: int) -> int:
+            while root.get(c, c) != c:
+                c = root[c]
+            return c
+
+        x, y = (frame[frame["mine"] == k].drop_duplicates("node") for k in (i, j))
+        out = []
+        if len(x) and len(y):
+            mx, my = (np.stack([np.frombuffer(m, np.uint32) for m in f["minima"]]) for f in (x, y))
+            cx, cy = x["component"].to_numpy(), y["component"].to_numpy()
+            sx, sy = ([np.frombuffer(b, np.uint64) for b in f["shingles"]] for f in (x, y))
+            nx, ny = x["node"].to_numpy(), y["node"].to_numpy()
+            for p in range(len(x)):
+                near = np.flatnonzero(((my == mx[p]).mean(1) >= LEAST_ESTIMATE) & (cy != cx[p]))
+                for q in near:
+                    a, b = find(int(cx[p])), find(int(cy[q]))
+                    if a == b:
+                        continue
+                    common = len(np.intersect1d(sx[p], sy[q], assume_unique=True))
+                    if under * common >= over * (len(sx[p]) + len(sy[q]) - common):
+                        root[max(a, b)] = min(a, b)
+                        out.append((int(min(nx[p], ny[q])), int(max(nx[p], ny[q]))))
+        return pd.DataFrame(out, columns=["u", "v"]).astype("int64")
+
+    return rows.groupBy("cluster", "i", "j").applyInPandas(compare, "u long, v long")
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, component (its smallest node) for the nodes of undirected links (u, v): alternating star steps.
 
@@ -191,26 +243,25 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     texts = id_and_text(docs).join(buckets.select(F.col("node").alias("doc_id")).distinct(), "doc_id").dropDuplicates(["doc_id", "text"])
     sets = materialised(full_sets(texts.select("doc_id", "text")))
 
-    labels = buckets.select("node").distinct().select("node", F.col("node").alias("component"))
-    links, tried = None, None
-    for last in (False, False, True):
-        placed = buckets.join(labels, "node")
-        mixed = placed.groupBy("key").agg(F.min("component").alias("lead_component"), F.max("component").alias("other")).where("lead_component < other")
-        open_ = placed.join(mixed.select("key", "lead_component"), "key")
-        if last:
-            other = open_.select("key", F.col("node").alias("v"), F.col("component").alias("v_component"))
-            pairs = open_.select("key", F.col("node").alias("u"), F.col("component").alias("u_component")).join(other, "key").where("u < v and u_component != v_component").select("u", "v").distinct()
-        else:
-            lead = open_.where("component = lead_component").groupBy("key").agg(F.min("node").alias("u"))
-            pairs = open_.where("component != lead_component").join(lead, "key").groupBy(F.col("node").alias("v")).agg(F.min("u").alias("u")).select("u", "v")
-        if tried is not None:
-            pairs = pairs.join(tried, ["u", "v"], "left_anti")
-        pairs = materialised(pairs)
-        found = materialised(verified(pairs, sets))
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        links = found if links is None else links.unionByName(found)
-        got = components(links)
-        labels = materialised(buckets.select("node").distinct().join(got, "node", "left").select("node", F.coalesce("component", "node").alias("component")))
+    members = buckets.select("node").distinct()
+    leads = buckets.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high"))
+    near = buckets.join(leads, "key").groupBy("node").agg(*[f(F.when(F.col(c) != F.col("node"), F.col(c))).alias(n) for n, f, c in (("u1", F.min, "low"), ("u2", F.max, "high"))])
+    star = near.select("node", F.explode(F.array_distinct(F.filter(F.array("u1", "u2"), lambda x: x.isNotNull()))).alias("u"))
+    star = materialised(star.select(F.least("u", "node").alias("u"), F.greatest("u", "node").alias("v")).distinct())
+    links = materialised(verified(star, sets))
+    labels = materialised(members.join(components(links), "node", "left").select("node", F.coalesce("component", "node").alias("component")))
+
+    # what still crosses components: keys of few nodes pair by pair, keys of many inside blocks of their cluster
+    crowd = buckets.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("lead"))
+    hubs = materialised(buckets.join(crowd.where(F.col("n") > FEW), "key").select(F.col("lead").alias("u"), F.col("node").alias("v")).distinct())
+    clusters = materialised(components(hubs).select("node", F.col("component").alias("cluster")))
+    placed = buckets.join(labels, "node").join(clusters, "node", "left")
+    open_ = materialised(placed.join(crowd.where(F.col("n") <= FEW).select("key"), "key").select("key", "node", "component", F.coalesce("cluster", -F.col("node") - 1).alias("cluster")))
+    other = open_.toDF("key", "v", "v_component", "v_cluster")
+    pairs = open_.toDF("key", "u", "u_component", "u_cluster").join(other, "key").where("u < v and u_component != v_component and u_cluster != v_cluster")
+    pairs = materialised(pairs.select("u", "v").distinct().join(star, ["u", "v"], "left_anti"))
+    links = links.unionByName(materialised(verified(pairs, sets))).unionByName(materialised(within_clusters(clusters.join(labels, "node"), sets)))
+    labels = materialised(members.join(components(links), "node", "left").select("node", F.coalesce("component", "node").alias("component")))
 
     named = nodes.join(labels, "node", "left").select("set_key", F.coalesce("component", "node").alias("component"))
     out = signed.select("doc_id", "n_shingles", "set_key").join(named, "set_key", "left")
