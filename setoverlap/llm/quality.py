@@ -98,7 +98,8 @@ def keep_good(df: DataFrame) -> DataFrame:
     """The rows of df, all columns as they are, that pass the rules."""
     names = df.columns
     inner = measure(df.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("q_row"), F.col("text")))
-    return inner.where(~base_rule() & verdict()).select("q_row.*")
+    # a column that is not deterministic keeps the filter above the projection; pushed below, it would repeat every measure
+    return inner.withColumn("q_id", F.monotonically_increasing_id()).where(~base_rule() & verdict() & (F.col("q_id") >= 0)).select("q_row.*")
 
 
 _W = r"[^\x20\x09-\x0D]+"

@@ -33,8 +33,8 @@ CHARS = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-="
 ALPHABET = len(CHARS) + 1
 CODE = {c: i for i, c in enumerate(CHARS)}
 SAMPLES, SEED = 4000, 20240101
-#: Mean log-likelihood ratio per character above which a token counts as random.
-THRESHOLD = 0.5
+#: Mean log-likelihood ratio per character above which a token counts as random: 0 is where both models are equally likely (on samples held out of training, random strings score above 0.1, identifiers below -0.9).
+THRESHOLD = 0.0
 
 _CLASS = bytes(CODE.get(chr(b), ALPHABET - 1) for b in range(256))
 
