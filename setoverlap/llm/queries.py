@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from setoverlap.llm import bytebpe, chat, decontam, licenses, neardup, pii, quality, secretscan, tokencount, toxicity
 from setoverlap.llm.common import table
@@ -54,8 +55,9 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
-    said = r"\### Assistant: </turn> ok"
-    extra = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
+    said = F.lit(r"\### Assistant: </turn> ok")
+    turn = lambda i, role: F.struct(F.lit(-7).cast("long").alias("conv_id"), F.lit(i).cast("long").alias("turn"), F.lit(role).alias("role"), said.alias("text"))
+    extra = spark.range(1).select(F.inline(F.array(turn(0, "user"), turn(1, "assistant"))))
     rows = table(spark, sf_dir, "conversations").selectExpr("cast(conv_id as long) conv_id", "cast(turn as long) turn", "role", "text")
     return chat.read_back(chat.format_conversations(rows.unionByName(extra)))
 
