@@ -64,18 +64,22 @@ class FactorizationMachine:
         return 1.0 / (1.0 + float(np.exp(-min(35.0, max(-35.0, self.margin(slots))))))
 
 
-def fit(rows: list[list[int]], labels: list[int], epochs: int = 12, batch: int = 64, rate: float = 0.1, l2: float = 2e-4, seed: int = 7) -> FactorizationMachine:
-    """Adaptive gradient descent on the log loss; slots that are rare or tell nothing by themselves stay at zero."""
+def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate: float = 0.1, l2: float = 2e-4, seed: int = 7) -> FactorizationMachine:
+    """Adaptive gradient descent on the log loss over rows of slots (lists or arrays); slots that are rare or tell nothing by themselves stay at zero."""
     y = np.asarray(labels, np.float64)
     w, r = np.zeros(SLOTS), np.random.default_rng(seed)
     v = np.zeros((SLOTS, FACTORS))
     if not len(y) or y.min() == y.max():
         return FactorizationMachine(-2.0 if not len(y) or y.max() == 0 else 2.0, w, v)
-    seen = np.bincount(np.concatenate([np.asarray(x, np.int64) for x in rows]), minlength=SLOTS) if any(rows) else np.zeros(SLOTS)
-    hits = np.bincount(np.concatenate([np.asarray(x, np.int64) for x, t in zip(rows, labels, strict=True) if t] or [np.zeros(0, np.int64)]), minlength=SLOTS)
+    seen, hits = np.zeros(SLOTS, np.int64), np.zeros(SLOTS, np.int64)
+    for x, t in zip(rows, labels, strict=True):
+        at = np.asarray(x, np.int64)  # distinct within a row
+        seen[at] += 1
+        if t:
+            hits[at] += 1
     rate_all = y.mean()
     usable = (seen >= LEAST_DOCS) & (np.abs(hits - seen * rate_all) >= LEAST_Z * np.sqrt(np.maximum(seen, 1) * rate_all * (1 - rate_all)))
-    kept = [np.asarray([s for s in x if usable[s]], np.int64) for x in rows]
+    kept = [at[usable[at]] for at in (np.asarray(x, np.int64) for x in rows)]
     v[usable] = r.normal(0, 0.01, (int(usable.sum()), FACTORS))
     bias, gw, gv, gb = float(np.log(y.mean() / (1 - y.mean()))), np.full(SLOTS, 1e-6), np.full((SLOTS, FACTORS), 1e-6), 1e-6
     for _ in range(epochs):
@@ -113,14 +117,13 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Facto
 
     def setup():
         cache: dict[str, tuple[int, ...]] = {}
-        return lambda i, t: (i, slots_of(t, cache))
+        return lambda i, t: (i, np.asarray(slots_of(t, cache), np.uint16).tobytes())
 
     # row and label cross together: the id column carries (doc_id, label) folded as 2 * doc_id + label
     coded = texts.select((F.col("doc_id") * 2 + F.col("y")).alias("doc_id"), "text")
-    got = map_rows(coded, setup, "code long, slots array<int>").collect()
-    got = list({r["code"]: r for r in got}.values())
-    got.sort(key=lambda r: r["code"])
-    return fit([r["slots"] for r in got], [r["code"] & 1 for r in got])
+    # two bytes a slot keep the driver's share small: at most max_rows documents' distinct slots
+    got = sorted({r["code"]: np.frombuffer(r["slots"], np.uint16) for r in map_rows(coded, setup, "code long, slots binary").collect()}.items())
+    return fit([x for _, x in got], [code & 1 for code, _ in got])
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, model: FactorizationMachine | None = None) -> DataFrame:
