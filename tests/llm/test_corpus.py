@@ -214,3 +214,11 @@ def test_pipeline_stages(spark, sf):
     keep = {r.doc_id for r in quality.quality_rules(docs).where("kept").collect()}
     assert {r.doc_id for r in good.collect()} == keep
     assert 0 < corpus_pipeline.run(spark, sf).count() <= len(keep)
+
+
+def test_pii_selects_what_no_base_pattern_matches(spark):
+    texts = {1: "write to jane.doe [at] example [dot] org today", 2: "Tel. (030) 1234 567 in the evening", 3: "reach me on 555-123-4567 please", 4: "they arrive (at) noon. Then they eat", 5: "log of 2024-01-15 12 hours", 6: "key ab3f9123456789c01", 7: "order 4711471147 shipped", 8: "mail bob[@]example.com now"}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r.doc_id: r.spans for r in pii.personal_data(docs).collect()}
+    assert got[1] == "other:9:40" and got[2] == "other:5:19" and got[3] == "other:12:24" and got[8].startswith("other:5:")
+    assert all(got[i] == "" for i in (4, 5, 6, 7))
