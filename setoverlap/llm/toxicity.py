@@ -23,8 +23,12 @@ from setoverlap.llm.common import id_and_text, map_rows
 SLOTS, FACTORS = 1 << 16, 4
 MAX_ROWS = 20_000
 LEAST_DOCS = 5
-#: A slot is learned when its toxic share differs from the overall share by so many standard errors.
+#: A slot seen in so many rows has a factor vector, whatever it tells by itself.
+PAIR_DOCS = 30
+#: A slot has a linear weight (and a factor vector at LEAST_DOCS rows) when its toxic share differs from the overall share by so many standard errors.
 LEAST_Z = 5.0
+#: Factor vectors of slots that tell nothing by themselves shrink by this group penalty, to zero where no pair holds them up.
+SPARSE = 1e-3
 HEADS = (5, 7)
 STRIP = ".,;:!?\"'()[]{}*%$&#|<>-_"
 
@@ -65,7 +69,7 @@ class FactorizationMachine:
 
 
 def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate: float = 0.1, l2: float = 2e-4, seed: int = 7) -> FactorizationMachine:
-    """Adaptive gradient descent on the log loss over rows of slots (lists or arrays); slots that are rare or tell nothing by themselves stay at zero."""
+    """Adaptive gradient descent on the log loss over rows of slots (lists or arrays); slots that tell nothing by themselves have no linear weight, but a factor vector under a group penalty; rare slots stay at zero."""
     y = np.asarray(labels, np.float64)
     w, r = np.zeros(SLOTS), np.random.default_rng(seed)
     v = np.zeros((SLOTS, FACTORS))
@@ -79,8 +83,9 @@ def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate:
             hits[at] += 1
     rate_all = y.mean()
     usable = (seen >= LEAST_DOCS) & (np.abs(hits - seen * rate_all) >= LEAST_Z * np.sqrt(np.maximum(seen, 1) * rate_all * (1 - rate_all)))
-    kept = [at[usable[at]] for at in (np.asarray(x, np.int64) for x in rows)]
-    v[usable] = r.normal(0, 0.01, (int(usable.sum()), FACTORS))
+    paired = usable | (seen >= PAIR_DOCS)
+    kept = [at[paired[at]].astype(np.uint16) for at in (np.asarray(x, np.int64) for x in rows)]
+    v[paired] = r.normal(0, 0.01, (int(paired.sum()), FACTORS))
     bias, gw, gv, gb = float(np.log(y.mean() / (1 - y.mean()))), np.full(SLOTS, 1e-6), np.full((SLOTS, FACTORS), 1e-6), 1e-6
     for _ in range(epochs):
         order = r.permutation(len(y))
@@ -100,8 +105,11 @@ def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate:
             gw[slots] += dw * dw
             gv[slots] += dv * dv
             gb += float(d.sum()) ** 2
-            w[slots] -= rate * dw / np.sqrt(gw[slots])
-            v[slots] -= 0.3 * rate * dv / np.sqrt(gv[slots])
+            tells = usable[slots]
+            w[slots] -= tells * rate * dw / np.sqrt(gw[slots])
+            new = v[slots] - 0.3 * rate * dv / np.sqrt(gv[slots])
+            norm, limit = np.sqrt((new * new).sum(1)), SPARSE * rate / np.sqrt(gv[slots].sum(1))
+            v[slots] = new * np.where(tells, 1.0, np.maximum(0.0, 1 - limit / np.maximum(norm, 1e-12)))[:, None]
             bias -= rate * float(d.sum()) / np.sqrt(gb)
     return FactorizationMachine(bias, w.astype(np.float32), v.astype(np.float32))
 

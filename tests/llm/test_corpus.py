@@ -222,3 +222,14 @@ def test_pii_selects_what_no_base_pattern_matches(spark):
     got = {r.doc_id: r.spans for r in pii.personal_data(docs).collect()}
     assert got[1] == "other:9:40" and got[2] == "other:5:19" and got[3] == "other:12:24" and got[8].startswith("other:5:")
     assert all(got[i] == "" for i in (4, 5, 6, 7))
+
+
+def test_toxicity_learns_a_pair_of_neutral_terms():
+    import numpy as np
+
+    r = np.random.default_rng(1)
+    draws = [(int(a), int(b), sorted({10 + int(a), 20 + int(b), *map(int, r.integers(100, 140, 6))})) for a, b in r.integers(0, 2, (2400, 2))]
+    rows, labels = [x for _, _, x in draws], [int(a == b) for a, b, _ in draws]
+    model = toxicity.fit(rows[:2000], labels[:2000])
+    right = sum((model.margin(x) >= 0) == bool(y) for x, y in zip(rows[2000:], labels[2000:], strict=True))
+    assert right >= 380
