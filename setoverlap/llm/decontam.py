@@ -1,18 +1,21 @@
 """Benchmark decontamination by template canonicalisation.
 
 Words become template tokens: numbers, units and names (capitalised inside a sentence) turn into typed
-placeholders, other words into their lower-case letters. Hashed windows of WINDOW tokens of all documents meet
-those of the benchmark in a hash join; windows of one (document, item) pair that lie on one line of relative
-position are gathered, their slot values compared, and pairs that cover enough of the item are reported. A
+placeholders, a run of names or of numbers (number words too) within a sentence into one, other words into their
+lower-case letters. Hashed windows of all documents meet those of the benchmark in a hash join; a window has 4 to
+WINDOW tokens, fewer for short items (`window_of`), so that an item survives a changed token, and documents emit
+windows of every length in use. Windows of one (document, item) pair whose relative positions lie within MAX_SHIFT
+tokens of each other are gathered as one passage; each item token takes its partner from the position with the most
+windows; slot values are compared, and passages that cover enough of the item's tokens are reported. A
 re-parameterised copy keeps the template while its slots change; it is consistent when equal item values map to
 equal document values.
 
 The benchmark side is broadcast only while its size is checked to be within BROADCAST_ITEMS; beyond it the same
 windows meet in a shuffled join.
 
-Defined cases: null texts hold nothing; an item or document with fewer tokens than a window counts as one short
-window of its whole length (an item of fewer than LEAST_TOKENS is never reported); repeated rows give repeated
-results once per distinct (doc_id, item_id, start); empty tables give an empty result; other columns are not read.
+Defined cases: null texts hold nothing; a document with fewer tokens than a window has no such window; an item of fewer
+than LEAST_TOKENS words, or of fewer than LEAST_WINDOW template tokens, is never reported; repeated rows give
+results once per distinct (doc_id, item_id, passage); start is the document's word where the item would begin; empty tables give an empty result; other columns are not read.
 """
 
 from __future__ import annotations
@@ -23,17 +26,22 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from setoverlap.llm.common import id_and_text, small_batches
 
 WINDOW = 8
+LEAST_WINDOW = 4
 LEAST_TOKENS = 6
+#: Positions of one passage may drift by so many tokens from one to the next (words inserted or dropped).
+MAX_SHIFT = 4
 LEAST_COVER = 0.6
 BROADCAST_ITEMS = 50_000
 EDGE = ".,;:!?\"'()[]{}*%$&#|<>"
 NUMBER = re.compile(r"[+-]?[0-9][0-9.,:/]*")
 # Units of measure and money.
 UNITS = frozenset("mm cm m km kg g mg l ml lb lbs oz ft inch inches mile miles meter meters metre metres hour hours minute minutes second seconds day days week weeks month months year years dollar dollars euro euros cent cents percent degrees usd eur".split())
+NUMBER_WORDS = frozenset("zero one two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen seventeen eighteen nineteen twenty thirty forty fifty sixty seventy eighty ninety hundred thousand million billion".split())
 NUM, UNIT, NAME = "<num>", "<unit>", "<name>"
 
 
@@ -41,7 +49,7 @@ class Canonical:
     """Template tokens of texts as 64-bit hashes; distinct words are looked up once per worker task."""
 
     def __init__(self, cap: int = 300_000):
-        self.cap, self.known, self.name = cap, {}, self._hash(NAME)
+        self.cap, self.known, self.name, self.num = cap, {}, self._hash(NAME), self._hash(NUM)
 
     @staticmethod
     def _hash(s: str) -> int:
@@ -54,8 +62,8 @@ class Canonical:
         w = raw.strip(EDGE)
         ends = 2 * raw.rstrip("\"')]}*%$&#|").endswith((".", "!", "?"))
         low = w.lower()
-        if NUMBER.fullmatch(w):
-            out = (self._hash(NUM), ends | 4)
+        if NUMBER.fullmatch(w) or (low in NUMBER_WORDS or ("-" in low and NUMBER_WORDS.issuperset(low.split("-")))):
+            out = (self.num, ends | 4)
         elif low in UNITS:
             out = (self._hash(UNIT), ends | 4)
         else:
@@ -66,8 +74,8 @@ class Canonical:
             self.known[raw] = out
         return out
 
-    def tokens(self, text: str) -> tuple[np.ndarray, list[str], np.ndarray]:
-        """Hashes, raw words, and which tokens are slots."""
+    def tokens(self, text: str) -> tuple[np.ndarray, list[str], np.ndarray, np.ndarray]:
+        """Hashes, words (a run's words joined), which tokens are slots, and each token's first word."""
         words = text.split()
         get, look = self.known.get, self._look
         found = [get(w) or look(w) for w in words]
@@ -79,20 +87,35 @@ class Canonical:
             inside[1:] = (flags[:-1] & 2) == 0
         name = inside & ((flags & 1) > 0)
         h[name] = self.name
-        return h, words, name | ((flags & 4) > 0)
-
-
-def windows(h: np.ndarray, size: int = WINDOW) -> np.ndarray:
-    """One 64-bit hash for each window; a text below the size is one window."""
-    if not len(h):
-        return h
-    size = min(size, len(h))
-    out = np.full(len(h) - size + 1, 1469598103934665603 + size, np.uint64)
+        slot = name | ((flags & 4) > 0)
+        joined = np.zeros(len(h), bool)
+        if len(h):
+            joined[1:] = inside[1:] & (h[1:] == h[:-1]) & ((h[1:] == self.name) | (h[1:] == self.num))
+        first = np.flatnonzero(~joined)
+        if len(first) == len(h):
+            return h, words, slot, first
+        ends = np.append(first[1:], len(h))
+        words = [words[a] if b - a == 1 else " ".join(w.strip(EDGE) for w in words[a:b]) for a, b in zip(first.tolist(), ends.tolist(), strict=True)]
+        return h[first], words, slot[first], first
+
+
+def window_of(n: int) -> int:
+    """Window length for an item of n tokens: with one token changed, 0.6 of 10 tokens or more stay within whole windows."""
+    return min(n, max(LEAST_WINDOW, min(WINDOW, n * 2 // 5)))
+
+
+def windows(h: np.ndarray, sizes: list[int]) -> dict[int, np.ndarray]:
+    """One 64-bit hash for each window of each length; a length above the text's has none."""
+    found, top = {}, max(sizes, default=0)
+    out = np.full(len(h), 1469598103934665603, np.uint64)
     with np.errstate(over="ignore"):
-        for k in range(size):
-            out = (out ^ h[k : len(h) - size + 1 + k]) * np.uint64(0x9E3779B97F4A7C15)
+        for k in range(min(top, len(h))):
+            out = (out[: len(h) - k] ^ h[k:]) * np.uint64(0x9E3779B97F4A7C15)
             out ^= out >> np.uint64(29)
-    return out
+            if k + 1 in sizes:
+                x = (out ^ np.uint64(k + 1)) * np.uint64(0xBF58476D1CE4E5B9)
+                found[k + 1] = x ^ (x >> np.uint64(31))
+    return found
 
 
 def _slots(words: list[str], slot: np.ndarray, start: int, size: int) -> list[str]:
@@ -100,7 +123,7 @@ def _slots(words: list[str], slot: np.ndarray, start: int, size: int) -> list[st
 
 
 def benchmark_windows(benchmark: DataFrame) -> DataFrame:
-    """item_id, n_tokens, pos, hash, slots (of the window's tokens; empty where there is none)."""
+    """item_id, n_tokens, size, pos, pos_word, hash, slots (of the window's tokens; empty where there is none)."""
     small_batches(benchmark.sparkSession)
 
     def run(batches):
@@ -108,40 +131,43 @@ def benchmark_windows(benchmark: DataFrame) -> DataFrame:
         for batch in batches:
             rows = []
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                h, words, slot = can.tokens(text)
-                if len(h) >= LEAST_TOKENS:
-                    rows += [(i, len(h), p, int(x), _slots(words, slot, p, WINDOW)) for p, x in enumerate(windows(h).view(np.int64))]
-            cols = list(zip(*rows, strict=True)) if rows else [()] * 5
-            kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.string())]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["item_id", "n_tokens", "pos", "hash", "item_slots"])
+                h, words, slot, first = can.tokens(text)
+                if len(h) >= LEAST_WINDOW and len(text.split()) >= LEAST_TOKENS:
+                    size = window_of(len(h))
+                    rows += [(i, len(h), size, p, int(first[p]), int(x), _slots(words, slot, p, size)) for p, x in enumerate(windows(h, [size])[size].view(np.int64))]
+            cols = list(zip(*rows, strict=True)) if rows else [()] * 7
+            kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.string())]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["item_id", "n_tokens", "size", "pos", "pos_word", "hash", "item_slots"])
 
-    return id_and_text(benchmark, "item_id").mapInArrow(run, "item_id long, n_tokens int, pos int, hash long, item_slots array<string>")
+    return id_and_text(benchmark, "item_id").mapInArrow(run, "item_id long, n_tokens int, size int, pos int, pos_word int, hash long, item_slots array<string>")
 
 
-def document_windows(docs: DataFrame, only: "object | None" = None) -> DataFrame:
-    """doc_id, at, hash, doc_slots of all windows; with `only`, a broadcast sorted array, of windows whose hash it holds."""
+def document_windows(docs: DataFrame, sizes: list[int], only: "object | None" = None) -> DataFrame:
+    """doc_id, at, at_word, hash, doc_slots of all windows of the given lengths; with `only`, a broadcast sorted array, of windows whose hash it holds."""
     small_batches(docs.sparkSession)
 
     def run(batches):
         can = Canonical()
         wanted = None if only is None else only.value
         for batch in batches:
-            ids, at, hashes, slots = [], [], [], []
+            ids, at, at_word, hashes, slots = [], [], [], [], []
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                h, words, slot = can.tokens(text)
-                w = windows(h).view(np.int64)
-                if wanted is not None and len(w):
-                    near = np.minimum(np.searchsorted(wanted, w), max(0, len(wanted) - 1))
-                    keep = np.flatnonzero(wanted[near] == w) if len(wanted) else np.zeros(0, np.int64)
-                else:
-                    keep = np.arange(len(w))
-                ids += [i] * len(keep)
-                at += keep.tolist()
-                hashes += w[keep].tolist()
-                slots += [_slots(words, slot, p, WINDOW) for p in keep.tolist()]
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(at, pa.int32()), pa.array(hashes, pa.int64()), pa.array(slots, pa.list_(pa.string()))], ["doc_id", "at", "hash", "doc_slots"])
-
-    return id_and_text(docs).mapInArrow(run, "doc_id long, at int, hash long, doc_slots array<string>")
+                h, words, slot, first = can.tokens(text)
+                for size, x in windows(h, sizes).items():
+                    w = x.view(np.int64)
+                    if wanted is not None:
+                        near = np.minimum(np.searchsorted(wanted, w), max(0, len(wanted) - 1))
+                        keep = np.flatnonzero(wanted[near] == w) if len(wanted) else np.zeros(0, np.int64)
+                    else:
+                        keep = np.arange(len(w))
+                    ids += [i] * len(keep)
+                    at += keep.tolist()
+                    at_word += first[keep].tolist()
+                    hashes += w[keep].tolist()
+                    slots += [_slots(words, slot, p, size) for p in keep.tolist()]
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(at, pa.int32()), pa.array(at_word, pa.int32()), pa.array(hashes, pa.int64()), pa.array(slots, pa.list_(pa.string()))], ["doc_id", "at", "at_word", "hash", "doc_slots"])
+
+    return id_and_text(docs).mapInArrow(run, "doc_id long, at int, at_word int, hash long, doc_slots array<string>")
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, least_cover: float = LEAST_COVER, broadcast_items: int = BROADCAST_ITEMS) -> DataFrame:
@@ -149,18 +175,36 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least_cover: float = LEA
     spark = docs.sparkSession
     bench = benchmark_windows(benchmark)
     n_items = benchmark.count()
+    sizes = sorted(r["size"] for r in bench.select("size").distinct().collect())
     if n_items <= broadcast_items:
         hashes = np.unique(np.array([r["hash"] for r in bench.select("hash").distinct().collect()], np.int64))
-        sides = document_windows(docs, spark.sparkContext.broadcast(hashes)), F.broadcast(bench)
+        sides = document_windows(docs, sizes, spark.sparkContext.broadcast(hashes)), F.broadcast(bench)
     else:
-        sides = document_windows(docs), bench
-    hits = sides[0].join(sides[1], "hash").withColumn("start", F.col("at") - F.col("pos"))
-    # a document's windows of one passage share the start; all slot pairs of the passage, without repeats
-    pair = F.filter(F.zip_with("item_slots", "doc_slots", lambda a, b: F.struct(a.alias("a"), b.alias("b"))), lambda x: (x["a"] != "") | (x["b"] != ""))
-    got = hits.groupBy("doc_id", "item_id", "start").agg(
-        F.countDistinct("pos").alias("n_windows"), F.first("n_tokens").alias("n_tokens"), F.array_distinct(F.flatten(F.collect_set(pair))).alias("slots"),
+        sides = document_windows(docs, sizes), bench
+    hits = sides[0].join(sides[1], "hash").withColumn("line", F.col("at") - F.col("pos"))
+    # windows on one line of relative position: (item token, item value, document value) without repeats
+    tokens = F.zip_with("item_slots", "doc_slots", lambda a, b: F.struct(a.alias("a"), b.alias("b")))
+    placed = F.transform(tokens, lambda x, i: F.struct((F.col("pos") + i).alias("t"), x["a"].alias("a"), x["b"].alias("b")))
+    lines = hits.groupBy("doc_id", "item_id", "line").agg(
+        F.collect_set("pos").alias("at_pos"), F.first("n_tokens").alias("n_tokens"), F.min_by(F.col("at_word") - F.col("pos_word"), F.col("pos")).alias("start"),
+        F.array_distinct(F.flatten(F.collect_set(placed))).alias("tokens"),
+    )
+    # lines close to each other are one passage
+    order = Window.partitionBy("doc_id", "item_id").orderBy("line")
+    apart = F.coalesce(F.col("line") - F.lag("line").over(order) > MAX_SHIFT, F.lit(False))
+    lines = lines.withColumn("apart", apart.cast("int")).withColumn("passage", F.sum("apart").over(order))
+    key = ["doc_id", "item_id", "passage"]
+    # each item token once, from the line with the most windows; the line with the first window gives the start
+    strong = F.struct(-F.size("at_pos"), F.col("line"))
+    ranked = lines.withColumn("strong", strong).select(*key, "n_tokens", "start", "at_pos", "strong", F.explode("tokens").alias("x"))
+    best = ranked.groupBy(*key, F.col("x.t").alias("t")).agg(
+        F.first("n_tokens").alias("n_tokens"), F.min(F.struct("strong", "x.a", "x.b")).alias("best"), F.min_by("start", "strong").alias("start"), F.max(F.expr("array_contains(at_pos, x.t)").cast("int")).alias("begins"),
+    )
+    slot = F.when((F.col("best.a") != "") | (F.col("best.b") != ""), F.struct("best.a", "best.b"))
+    got = best.groupBy(*key).agg(
+        F.sum("begins").alias("n_windows"), F.count("*").alias("covered"), F.first("n_tokens").alias("n_tokens"), F.min_by("start", "t").alias("start"), F.collect_set(slot).alias("slots"),
     )
-    cover = F.col("n_windows") / F.greatest(F.col("n_tokens") - (WINDOW - 1), F.lit(1))
+    cover = F.col("covered") / F.col("n_tokens")
     consistent = F.size("slots") == F.size(F.array_distinct(F.transform("slots", lambda x: x["a"])))
     out = got.select(
         "doc_id", "item_id", "start", F.col("n_windows").cast("long").alias("n_windows"), cover.alias("cover"), F.size("slots").cast("long").alias("n_slots"),

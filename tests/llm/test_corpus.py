@@ -233,3 +233,17 @@ def test_toxicity_learns_a_pair_of_neutral_terms():
     model = toxicity.fit(rows[:2000], labels[:2000])
     right = sum((model.margin(x) >= 0) == bool(y) for x, y in zip(rows[2000:], labels[2000:], strict=True))
     assert right >= 380
+
+
+def test_decontamination_of_copies_with_other_word_counts(spark):
+    words = "alpha bravo carrot delta echo fox golf hotel india joker kilo lemon metal nylon oscar paper quiz river sugar tango".split()
+    items = [(1, " ".join(words)), (2, "we saw the grey goose fly"), (3, "the farmer asked Peter for 300 apples because his horse was very hungry again")]
+    docs = [
+        (1, "x " + " ".join(words[:10] + ["extra"] + words[10:]) + " y"), (2, " ".join(words[:10] + ["other"] + words[11:])),
+        (3, "well yes we saw the grey goose fly over there"), (4, "so the farmer asked Mary Ann for three hundred apples because his horse was very hungry again"),
+        (5, " ".join(words[:9] + ["a", "b", "c", "d", "e", "f"] + words[18:])),
+    ]
+    for limit in (50_000, 0):
+        got = decontam.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), broadcast_items=limit).collect()
+        assert {(r.doc_id, r.item_id) for r in got} == {(1, 1), (2, 1), (3, 2), (4, 3)} and len(got) == 4
+        assert {r.doc_id: r.start for r in got} == {1: 1, 2: 0, 3: 2, 4: 1}
