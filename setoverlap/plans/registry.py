@@ -463,8 +463,8 @@ def simulated_accuracy(spark, ratios, overlaps, ms, trials, seed=1) -> DataFrame
     return simulate.accuracy_table(est.withColumn("truth", F.col("overlap") * F.col("a")))
 
 
-#: Trials for each cell in registered figures; the full experiment takes 10,000 (bench.py has a flag).
-TRIALS, STEPS = 500, [i / 20 for i in range(21)]
+#: The whole experiment: trials for each cell, and all overlaps.
+TRIALS, STEPS = 10_000, [i / 100 for i in range(101)]
 
 
 @query()

@@ -175,3 +175,7 @@ def test_streaming_merges_like_batch(spark, sf, tmp_path):
     want = registers.build_registers(spark.read.parquet(f"{sf}/events.parquet"), "user_id", ["event_type"], 8)
     assert sorted(map(tuple, got.select("event_type", "k", "v").collect())) == sorted(map(tuple, want.collect()))
     assert pairstats.pair_stats_all(got, "event_type", 8).count() == 10
+
+
+def test_figures_run_the_whole_experiment():
+    assert registry.TRIALS == 10_000 and registry.STEPS == [i / 100 for i in range(101)]
