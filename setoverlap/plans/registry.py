@@ -517,17 +517,21 @@ def doc_near_duplicates_exact(spark, d):
     return allpairs.exact_pair_overlaps(w.document_shingles(spark, d), "doc_id", "e").where("2 * card_both >= card_any")
 
 
+#: 32 bands of 2 of the 64 registers: a pair at Jaccard .5 becomes a candidate with probability .9999.
+BAND = 2
+
+
 @query()
 def doc_near_duplicates_ml(spark, d):
     regs = registers.build_registers(w.document_shingles(spark, d), "e", ["doc_id"], 64)
-    got = mle.mle_intersection(allpairs.similar_pairs(regs, "doc_id", 64))
+    got = mle.mle_intersection(allpairs.similar_pairs(regs, "doc_id", 64, rows_per_band=BAND))
     return got.where("jaccard >= 0.5").select("x", "y", "card_both", "jaccard")
 
 
 @query()
 def doc_banding_candidates(spark, d):
     regs = registers.build_registers(w.document_shingles(spark, d), "e", ["doc_id"], 64)
-    return allpairs.band_candidates(regs, "doc_id")
+    return allpairs.band_candidates(regs, "doc_id", BAND)
 
 
 _BSH = _SH.replace("documents", "benchmark").replace("doc_id", "item_id")

@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from setoverlap.functions.hashing import unit_hash
-from setoverlap.operators import cardinality, exact, mle, pairstats, registers, schemes, simulate, theory
+from setoverlap.operators import allpairs, cardinality, exact, mle, pairstats, registers, schemes, simulate, theory
 from setoverlap.plans import registry, workloads
 
 
@@ -179,3 +179,12 @@ def test_streaming_merges_like_batch(spark, sf, tmp_path):
 
 def test_figures_run_the_whole_experiment():
     assert registry.TRIALS == 10_000 and registry.STEPS == [i / 100 for i in range(101)]
+
+
+def test_document_bands_find_pairs_at_their_threshold(spark):
+    # 200 pairs of 60 elements at Jaccard 0.5 (40 shared of 80)
+    sets = spark.range(400).selectExpr("id as doc_id", "explode(transform(sequence(0, 59), i -> cast(div(id, 2) * 1000 + if(i < 40, i, i + 100 * (id % 2)) as string))) as e")
+    regs = registers.build_registers(sets, "e", ["doc_id"], 64)
+    want = allpairs.exact_pair_overlaps(sets, "doc_id", "e").where("2 * card_both >= card_any")
+    found = want.join(allpairs.band_candidates(regs, "doc_id", registry.BAND), ["x", "y"])
+    assert want.count() == 200 and found.count() >= 198
