@@ -20,7 +20,7 @@ THRESHOLDS: list[tuple[str, str, float | None, float | None]] = [
     ("chars_per_word", "word_chars / greatest(n_words, 1)", 2.0, 16.0),
     ("capital_words", "n_capital_words / greatest(n_words, 1)", None, 0.30),
     ("duplicate_lines", "n_dup_lines / greatest(n_lines, 1)", None, 0.50),
-    ("stop_words", "n_stop_words / greatest(n_words, 1)", 0.0, None),
+    ("stop_words", "n_stop_words / greatest(n_words, 1)", 0.02, None),
 ]
 
 

@@ -247,3 +247,9 @@ def test_decontamination_of_copies_with_other_word_counts(spark):
         got = decontam.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), broadcast_items=limit).collect()
         assert {(r.doc_id, r.item_id) for r in got} == {(1, 1), (2, 1), (3, 2), (4, 3)} and len(got) == 4
         assert {r.doc_id: r.start for r in got} == {1: 1, 2: 0, 3: 2, 4: 1}
+
+
+def test_quality_rejects_texts_without_stop_words(spark):
+    docs = spark.createDataFrame([(1, " ".join(f"wort{i}x" for i in range(60))), (2, " ".join(f"wort{i}x the" for i in range(60)))], "doc_id long, text string")
+    assert {r.doc_id: r.kept for r in quality.quality_rules(docs).collect()} == {1: False, 2: True}
+    assert [r.doc_id for r in quality.keep_good(docs).collect()] == [2]
