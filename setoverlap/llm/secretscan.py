@@ -1,6 +1,6 @@
 """Secret scans by two character Markov models compared by log-likelihood ratio.
 
-Base patterns find assignments, access keys and long hexadecimal runs. Beside them, every token of 16 to 512
+Base patterns find assignments, access keys and long hexadecimal runs. Beside them, every token of 16 or more
 characters from the key alphabet is scored: bigrams of random strings against bigrams of ordinary identifiers. Both models are
 trained from labelled samples drawn by a seeded generator: random strings over four alphabets, and identifiers
 made of the corpus's own words (class counts of all documents, at most ALPHABET^2 rows) joined as programmers do.
@@ -28,7 +28,7 @@ KINDS = ["assign", "access", "hex", "random"]
 ASSIGN = re.compile(r"""(?ai:(?:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?)([A-Za-z0-9+/_.=-]+)""")
 ACCESS = re.compile(r"AKIA[A-Z0-9]{14,}")
 HEX = re.compile(r"[0-9a-f]{16,}")
-TOKEN = re.compile(r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])[A-Za-z0-9+/_-]{16,512}={0,2}(?![A-Za-z0-9+/_=-])")
+TOKEN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{16,}+={0,2}+(?![A-Za-z0-9+/_=-])")
 CHARS = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-="
 ALPHABET = len(CHARS) + 1
 CODE = {c: i for i, c in enumerate(CHARS)}
@@ -129,7 +129,7 @@ def base_spans(text: str) -> list[tuple[int, int, str, int]]:
 
 
 def added_spans(text: str, model: MarkovPair, base: list, threshold: float = THRESHOLD) -> list[tuple[int, int, str, int]]:
-    """Random-looking tokens with letters and digits that touch no base span."""
+    """Random-looking tokens with letters that touch no base span."""
     out, at, sure = [], 0, sorted((s, e) for s, _, _, e in base)
     for m in TOKEN.finditer(text):
         s, e, v = m.start(), m.end(), m.group()

@@ -253,3 +253,15 @@ def test_quality_rejects_texts_without_stop_words(spark):
     docs = spark.createDataFrame([(1, " ".join(f"wort{i}x" for i in range(60))), (2, " ".join(f"wort{i}x the" for i in range(60)))], "doc_id long, text string")
     assert {r.doc_id: r.kept for r in quality.quality_rules(docs).collect()} == {1: False, 2: True}
     assert [r.doc_id for r in quality.keep_good(docs).collect()] == [2]
+
+
+def test_secrets_without_digits_and_of_any_length(spark, sf):
+    import random
+
+    r = random.Random(5)
+    letters, long = "".join(r.choices(secretscan.CHARS[:52], k=40)), "".join(r.choices(secretscan.CHARS[:64], k=1500))
+    model = secretscan.train(table(spark, sf, "documents"))
+    plain = " ".join(x.text or "" for x in table(spark, sf, "documents").collect() if not secretscan.base_spans(x.text or ""))
+    assert len(secretscan.added_spans(plain, model, [])) <= 5
+    spans = secretscan.added_spans(f"key {letters} cert {long}== end", model, [])
+    assert [(a, b) for a, _, _, b in spans] == [(4, 44), (50, 1552)]
