@@ -87,6 +87,13 @@ def registers_running_union(spark, d):
     return _daily(spark, d).where("k = 0").select("event_type", "day", F.min("v").over(run).alias("v"))
 
 
+@query()
+def registers_running_union_all(spark, d):
+    """Every register of the running union (registers_running_union, held to its SQL, returns register 0 alone)."""
+    run = Window.partitionBy("event_type", "k").orderBy("day").rowsBetween(Window.unboundedPreceding, 0)
+    return _daily(spark, d).select("event_type", "day", "k", F.min("v").over(run).alias("v"))
+
+
 @query()
 def registers_arrow_engine(spark, d):
     return registers.build_registers(load_table(spark, d, "orders"), "o_custkey", ["o_orderstatus"], 256, engine="arrow")
@@ -192,6 +199,13 @@ def ml_supplier_pairs_top20(spark, d):
     return _round(got, ["card_both"], ["x", "y"], 2).orderBy(F.desc("card_both"), "x", "y").limit(20)
 
 
+@query()
+def supplier_pairs_top20_exact(spark, d):
+    """The pairs that share most parts by exact counts (16 registers in ml_supplier_pairs_top20 draw theirs from noise)."""
+    pairs = allpairs.exact_pair_overlaps(load_table(spark, d, "lineitem"), "l_suppkey", "l_partkey")
+    return pairs.select("x", "y", "card_both").orderBy(F.desc("card_both"), "x", "y").limit(20)
+
+
 _CARDS = "m / sum_a AS ca, m / sum_b AS cb, m / sum_any AS cu, 1.0 * k_tie / (k_tie + k_a + k_b) AS j"
 
 

@@ -188,3 +188,14 @@ def test_document_bands_find_pairs_at_their_threshold(spark):
     want = allpairs.exact_pair_overlaps(sets, "doc_id", "e").where("2 * card_both >= card_any")
     found = want.join(allpairs.band_candidates(regs, "doc_id", registry.BAND), ["x", "y"])
     assert want.count() == 200 and found.count() >= 198
+
+
+def test_running_union_has_every_register_and_supplier_pairs_are_exact(spark, sf):
+    got = registry.registers_running_union_all(spark, sf).collect()
+    assert {r.k for r in got} == set(range(8))
+    assert {(r.event_type, r.day, r.v) for r in got if r.k == 0} == {tuple(r) for r in registry.registers_running_union(spark, sf).collect()}
+    parts = {}
+    for r in registry.load_table(spark, sf, "lineitem").select("l_suppkey", "l_partkey").collect():
+        parts.setdefault(r.l_suppkey, set()).add(r.l_partkey)
+    want = sorted((-len(parts[x] & parts[y]), x, y) for x in parts for y in parts if x < y and parts[x] & parts[y])[:20]
+    assert [(-r.card_both, r.x, r.y) for r in registry.supplier_pairs_top20_exact(spark, sf).collect()] == want
