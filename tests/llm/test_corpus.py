@@ -141,8 +141,8 @@ def test_decontamination(spark, sf, odd, empty):
         (1, "Intro words here. A train travels 450 miles in 9 hours while Lucas waits at the station for his friend Maria to arrive by bus"),
         (2, "A plane flies over the mountains and Peter waits at home."), (3, None),
     ], "doc_id long, text string")
-    for limit in (50_000, 0):  # broadcast and shuffled join
-        got = decontam.contaminated(docs, items, broadcast_items=limit).collect()
+    for limit in (1 << 20, 0):  # broadcast and shuffled join
+        got = decontam.contaminated(docs, items, broadcast_bytes=limit).collect()
         assert [(r.doc_id, r.item_id, r.consistent) for r in got] == [(1, 1, True)] and got[0].n_changed_slots == 4
     assert {r.doc_id for r in decontam.decontaminate(docs, items).collect()} == {2, 3}
     assert decontam.contaminated(empty, items).count() == 0 and decontam.contaminated(odd, items.limit(0)).count() == 0
@@ -243,8 +243,8 @@ def test_decontamination_of_copies_with_other_word_counts(spark):
         (3, "well yes we saw the grey goose fly over there"), (4, "so the farmer asked Mary Ann for three hundred apples because his horse was very hungry again"),
         (5, " ".join(words[:9] + ["a", "b", "c", "d", "e", "f"] + words[18:])),
     ]
-    for limit in (50_000, 0):
-        got = decontam.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), broadcast_items=limit).collect()
+    for limit in (1 << 20, 0):
+        got = decontam.contaminated(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), broadcast_bytes=limit).collect()
         assert {(r.doc_id, r.item_id) for r in got} == {(1, 1), (2, 1), (3, 2), (4, 3)} and len(got) == 4
         assert {r.doc_id: r.start for r in got} == {1: 1, 2: 0, 3: 2, 4: 1}
 
