@@ -3,11 +3,13 @@
 A text's terms (lower-case words without edge punctuation, and the heads of long words) hash to 2^16 slots; the score is a bias, the slots'
 linear weights, and the inner products of their factor vectors over all pairs, computed in linear time. Weights
 come from at most MAX_ROWS labelled rows whose crc32(doc_id as text) mod 5 is not 0 (a documented bound; rows are
-chosen by a hash of doc_id); training runs in the driver with adaptive gradient steps, scoring map side.
+chosen by a hash of doc_id); training runs in the driver with adaptive gradient steps, scoring map side. A fifth of the
+training rows is kept from the gradient steps and gives the scale and shift that turn margins into probabilities.
 
 Defined cases: null or empty text scores the bias; null labels are not learned from; repeated label rows count
-once per document (the larger); repeated documents each get a row; without labels every score is 0.5 - a margin
-(predicted 0); other columns are not read.
+once per document (the larger), and of repeated documents the least text is learned from; repeated documents each get a
+row; a null doc_id is scored and not held out; without labels, or with one class alone, every margin is -2 or 2 (scores
+.119 or .881); other columns are not read.
 """
 
 from __future__ import annotations
@@ -25,10 +27,10 @@ MAX_ROWS = 20_000
 LEAST_DOCS = 5
 #: A slot seen in so many rows has a factor vector, whatever it tells by itself.
 PAIR_DOCS = 30
-#: A slot has a linear weight (and a factor vector at LEAST_DOCS rows) when its toxic share differs from the overall share by so many standard errors.
-LEAST_Z = 5.0
-#: Factor vectors of slots that tell nothing by themselves shrink by this group penalty, to zero where no pair holds them up.
-SPARSE = 1e-3
+#: Penalties on a linear weight and on a factor vector: a slot that no row needs goes to zero.
+SPARSE_W, SPARSE_V = 1e-3, 1e-3
+#: One training row in so many calibrates.
+CALIBRATE = 5
 HEADS = (5, 7)
 STRIP = ".,;:!?\"'()[]{}*%$&#|<>-_"
 
@@ -53,13 +55,18 @@ def slots_of(text: str, cache: dict[str, tuple[int, ...]]) -> list[int]:
 
 
 class FactorizationMachine:
-    def __init__(self, bias: float, w: np.ndarray, v: np.ndarray):
-        self.bias, self.w, self.v = bias, w, v
+    """margin: scale * (bias + weights + pairs) + shift; scale and shift come from calibration."""
+
+    def __init__(self, bias: float, w: np.ndarray, v: np.ndarray, scale: float = 1.0, shift: float = 0.0):
+        self.bias, self.w, self.v, self.scale, self.shift = bias, w, v, scale, shift
 
     def margin(self, slots: list[int]) -> float:
-        if not slots:
+        return self.scale * self.raw(slots) + self.shift
+
+    def raw(self, slots: list[int]) -> float:
+        at = np.asarray(slots, np.int64)
+        if not len(at):
             return float(self.bias)
-        at = np.asarray(slots)
         v = self.v[at]
         total = v.sum(0)
         return float(self.bias + self.w[at].sum() + 0.5 * ((total * total).sum() - (v * v).sum()))
@@ -68,23 +75,19 @@ class FactorizationMachine:
         return 1.0 / (1.0 + float(np.exp(-min(35.0, max(-35.0, self.margin(slots))))))
 
 
-def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate: float = 0.1, l2: float = 2e-4, seed: int = 7) -> FactorizationMachine:
-    """Adaptive gradient descent on the log loss over rows of slots (lists or arrays); slots that tell nothing by themselves have no linear weight, but a factor vector under a group penalty; rare slots stay at zero."""
+def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate: float = 0.1, l2: float = 2e-4, seed: int = 7, sparse_w: float = SPARSE_W, sparse_v: float = SPARSE_V, pair_docs: int = PAIR_DOCS) -> FactorizationMachine:
+    """Adaptive gradient descent on the log loss over rows of slots (lists or arrays). Every slot of LEAST_DOCS rows has a
+    linear weight and every slot of PAIR_DOCS rows a factor vector; penalties, not tests of single slots, make both sparse."""
     y = np.asarray(labels, np.float64)
     w, r = np.zeros(SLOTS), np.random.default_rng(seed)
     v = np.zeros((SLOTS, FACTORS))
     if not len(y) or y.min() == y.max():
         return FactorizationMachine(-2.0 if not len(y) or y.max() == 0 else 2.0, w, v)
-    seen, hits = np.zeros(SLOTS, np.int64), np.zeros(SLOTS, np.int64)
-    for x, t in zip(rows, labels, strict=True):
-        at = np.asarray(x, np.int64)  # distinct within a row
-        seen[at] += 1
-        if t:
-            hits[at] += 1
-    rate_all = y.mean()
-    usable = (seen >= LEAST_DOCS) & (np.abs(hits - seen * rate_all) >= LEAST_Z * np.sqrt(np.maximum(seen, 1) * rate_all * (1 - rate_all)))
-    paired = usable | (seen >= PAIR_DOCS)
-    kept = [at[paired[at]].astype(np.uint16) for at in (np.asarray(x, np.int64) for x in rows)]
+    seen = np.zeros(SLOTS, np.int64)
+    for x in rows:
+        seen[np.asarray(x, np.int64)] += 1  # distinct within a row
+    usable, paired = seen >= LEAST_DOCS, seen >= pair_docs
+    kept = [at[usable[at]].astype(np.uint16) for at in (np.asarray(x, np.int64) for x in rows)]
     v[paired] = r.normal(0, 0.01, (int(paired.sum()), FACTORS))
     bias, gw, gv, gb = float(np.log(y.mean() / (1 - y.mean()))), np.full(SLOTS, 1e-6), np.full((SLOTS, FACTORS), 1e-6), 1e-6
     for _ in range(epochs):
@@ -102,18 +105,41 @@ def fit(rows: list, labels: list[int], epochs: int = 12, batch: int = 64, rate:
             slots, back = np.unique(at, return_inverse=True)
             dw = np.bincount(back, d[doc], len(slots)) + l2 * w[slots]
             dv = np.stack([np.bincount(back, d[doc] * (total[doc, k] - vx[:, k]), len(slots)) for k in range(FACTORS)], 1) + l2 * v[slots]
+            dv[~paired[slots]] = 0.0
             gw[slots] += dw * dw
             gv[slots] += dv * dv
             gb += float(d.sum()) ** 2
-            tells = usable[slots]
-            w[slots] -= tells * rate * dw / np.sqrt(gw[slots])
+            step = rate / np.sqrt(gw[slots])
+            new = w[slots] - step * dw
+            w[slots] = np.sign(new) * np.maximum(0.0, np.abs(new) - sparse_w * step)
             new = v[slots] - 0.3 * rate * dv / np.sqrt(gv[slots])
-            norm, limit = np.sqrt((new * new).sum(1)), SPARSE * rate / np.sqrt(gv[slots].sum(1))
-            v[slots] = new * np.where(tells, 1.0, np.maximum(0.0, 1 - limit / np.maximum(norm, 1e-12)))[:, None]
+            norm, limit = np.sqrt((new * new).sum(1)), sparse_v * rate / np.sqrt(gv[slots].sum(1))
+            v[slots] = new * np.maximum(0.0, 1 - limit / np.maximum(norm, 1e-12))[:, None]
             bias -= rate * float(d.sum()) / np.sqrt(gb)
     return FactorizationMachine(bias, w.astype(np.float32), v.astype(np.float32))
 
 
+def fit_calibrated(rows: list, labels: list[int]) -> FactorizationMachine:
+    """Fit on four fifths of the rows; logistic regression of the other fifth's labels on their margins sets scale and shift."""
+    out = [i % CALIBRATE == CALIBRATE - 1 for i in range(len(rows))]
+    model = fit([x for x, o in zip(rows, out, strict=True) if not o], [t for t, o in zip(labels, out, strict=True) if not o])
+    z = np.array([model.raw(x) for x, o in zip(rows, out, strict=True) if o])
+    y = np.array([t for t, o in zip(labels, out, strict=True) if o], np.float64)
+    if not len(y) or y.min() == y.max() or not model.w.any() and not model.v.any():
+        return model
+    want = np.where(y == 1, (y.sum() + 1) / (y.sum() + 2), 1 / (len(y) - y.sum() + 2))
+    at = np.array([1.0, 0.0])
+    for _ in range(50):
+        p = 1 / (1 + np.exp(-np.clip(at[0] * z + at[1], -35, 35)))
+        c = p * (1 - p) + 1e-9
+        slope = np.array([((p - want) * z).sum(), (p - want).sum()])
+        curve = np.array([[(c * z * z).sum() + 1e-6, (c * z).sum()], [(c * z).sum(), c.sum() + 1e-6]])
+        at = at - np.clip(np.linalg.solve(curve, slope), -2, 2)
+    if at[0] > 0:
+        model.scale, model.shift = float(at[0]), float(at[1])
+    return model
+
+
 def fold(doc_id):
     return F.crc32(doc_id.cast("string").cast("binary")) % 5
 
@@ -121,7 +147,7 @@ def fold(doc_id):
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> FactorizationMachine:
     chosen = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("toxic").cast("int").alias("y"))
     chosen = chosen.where(fold(F.col("doc_id")) != 0).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    texts = id_and_text(docs).join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "y")  # at most max_rows ids
+    texts = id_and_text(docs).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "y").agg(F.min("text").alias("text"))  # at most max_rows ids
 
     def setup():
         cache: dict[str, tuple[int, ...]] = {}
@@ -130,8 +156,9 @@ def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Facto
     # row and label cross together: the id column carries (doc_id, label) folded as 2 * doc_id + label
     coded = texts.select((F.col("doc_id") * 2 + F.col("y")).alias("doc_id"), "text")
     # two bytes a slot keep the driver's share small: at most max_rows documents' distinct slots
-    got = sorted({r["code"]: np.frombuffer(r["slots"], np.uint16) for r in map_rows(coded, setup, "code long, slots binary").collect()}.items())
-    return fit([x for _, x in got], [code & 1 for code, _ in got])
+    got = [(r["code"], np.frombuffer(r["slots"], np.uint16)) for r in map_rows(coded, setup, "code long, slots binary").collect()]
+    got.sort(key=lambda x: (zlib.crc32(str(x[0] >> 1).encode()), x[0]))  # an order that ids do not follow
+    return fit_calibrated([x for _, x in got], [code & 1 for code, _ in got])
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, model: FactorizationMachine | None = None) -> DataFrame:
@@ -149,4 +176,4 @@ def toxicity(docs: DataFrame, labels: DataFrame, model: FactorizationMachine | N
         return row
 
     got = map_rows(id_and_text(docs), setup, "doc_id long, score double, predicted int")
-    return got.select("doc_id", (fold(F.col("doc_id")) == 0).alias("held_out"), "score", "predicted")
+    return got.select("doc_id", F.coalesce(fold(F.col("doc_id")) == 0, F.lit(False)).alias("held_out"), "score", "predicted")
