@@ -50,6 +50,14 @@ def map_rows(df: DataFrame, setup: Callable[[], Callable[[int | None, str], tupl
     return df.mapInArrow(run, schema)
 
 
+def fenced(df: DataFrame) -> DataFrame:
+    """df with its last projection closed to filters from above: pushed below, they would repeat its expressions."""
+    name = "fence"
+    while name in df.columns:
+        name += "_"
+    return df.withColumn(name, F.monotonically_increasing_id()).where(F.col(name) >= 0).drop(name)
+
+
 def scratch(spark: SparkSession) -> str:
     """A new path under spark.checkpoint.dir, the folder that driver and executors share.
 
@@ -73,7 +81,17 @@ def materialised(df: DataFrame) -> DataFrame:
     """Write to the shared folder as Parquet and read back: cuts the lineage, survives lost executors."""
     path = scratch(df.sparkSession)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.scratch_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete what `materialised` wrote for these tables, once nothing reads them any more."""
+    for df in tables:
+        sc = df.sparkSession.sparkContext
+        path = sc._jvm.org.apache.hadoop.fs.Path(df.scratch_path)
+        path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def spans_digest(spans: list[tuple[int, int, str, int]]) -> str:

@@ -1,13 +1,14 @@
 """Personal data by candidate gradient boosting, in built-in functions only.
 
-Generators with high recall propose overlapping spans; thirteen yes/no features of a span's format and of the text
-around it form one of 8,192 patterns; boosted regression trees give each pattern a score, a monotone
-calibration turns it into a probability, and spans above a threshold are selected beside the validated base
-spans. The trees learn from seeded labelled samples (spelled-out addresses, national numbers, addresses outside
+Generators with high recall propose overlapping spans; fourteen yes/no features of a span's format and of the text
+around it form one of 16,384 patterns; boosted regression trees give each pattern a score, a monotone
+calibration on labels that the trees have not seen turns it into a probability, and spans above a threshold are
+selected beside the validated base spans. The trees learn from seeded labelled samples (spelled-out addresses, national numbers, addresses outside
 ASCII, and what looks like them) and from the candidates of the table whose label is known: positive when they
 overlap a validated base span, negative when they overlap none and are glued to a word or hold 12 digits or more.
 Other candidates of the table are not learned from. The table's counts are scaled down to the number of samples,
-so that the size of a corpus does not drown them. Two aggregations to at most 8,192 rows reach the driver.
+so that the size of a corpus does not drown them. Aggregations to at most two rows a pattern reach the driver;
+a fifth of the table's labels (by a hash of the candidate) and samples of another seed are kept for calibration.
 
 Defined cases: null text reads as empty (no spans); repeated rows each get a row; an empty table gives an empty
 result and a model of the samples alone; other columns are not read. Very long runs of one character class are
@@ -24,6 +25,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from setoverlap.llm.common import fenced
+
 KINDS = ["email", "ip", "card", "phone", "other"]
 # Java patterns with the language of the contract's, possessive where nothing can follow.
 BASE = {
@@ -37,7 +40,7 @@ GENERATORS = {
     "spelled_mail": r"(?i)(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++ ?[\[(](?:at|@)[\])] ?[A-Za-z0-9-]++ ?(?:\.|[\[(]dot[\])]) ?[A-Za-z0-9-]++",
     "digits": r"[+(]?[0-9](?:[\x20().-]{0,2}[0-9]){6,}+",
 }
-CUES = r"(?i)(?:phone|mobile|tel|fax|call|mail|contact|card|visa|account|konto|iban|ssn|addr|reach|write)[^\n]{0,12}$"
+CUES = r"(?i)(?:phone|mobile|tel|fax|call|mail|contact|card|visa|account|konto|iban|ssn|social|addr|reach|write)[^\n]{0,12}$"
 # A plain point must stand close to both words; a number's groups as people write them.
 SPELLED = r"[\[(](?i:at|@)[\])] ?[A-Za-z0-9-]+(?: ?[\[(](?i:dot)[\])] ?|[.])[A-Za-z]{2,24}$"
 GROUPED = r"^(?:\(?0[0-9]{1,4}\)?[ .-]{1,2}[0-9]|\([0-9]{2,5}\) ?[0-9]|[0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}$)"
@@ -45,7 +48,7 @@ CONTEXT = 24
 THRESHOLD = 0.9
 
 #: How many yes/no features `_feature_columns` gives.
-N_FEATURES = 13
+N_FEATURES = 14
 SAMPLES, SEED = 400, 20240101
 #: What a candidate's struct holds; `after` is the one character behind it.
 _SPANS = "array<struct<s:int,e:int,v:string,before:string,after:string>>"
@@ -120,7 +123,7 @@ def _feature_columns(v: Column, before: Column, after: Column) -> list[Column]:
     return [
         v.contains("@"), v.rlike(r"@[\p{L}0-9-]+[.][\p{L}0-9-]"), v.startswith("+"), digits.between(9, 11), digits.between(12, 15), digits.between(16, 19),
         v.rlike(r"^[0-9]{1,3}([.][0-9]{1,3}){3}$"), v.rlike("^[0-9]+$"), v.contains("("), before.rlike(CUES),
-        v.rlike(SPELLED), _glued(before, after), v.rlike(GROUPED),
+        v.rlike(SPELLED), _glued(before, after), v.rlike(GROUPED), v.rlike("^[0-9]{3}-[0-9]{2}-[0-9]{4}$"),
     ]
 
 
@@ -170,8 +173,9 @@ def _grow(rows: list[tuple[int, float, float]], depth: int, shrink: float, least
     return (f, _grow([r for r in rows if not r[0] >> f & 1], depth - 1, shrink, least), _grow([r for r in rows if r[0] >> f & 1], depth - 1, shrink, least))
 
 
-def fit_patterns(counts: list[tuple[int, float, float]], rounds: int = 40, depth: int = 3, shrink: float = 0.3) -> PatternModel:
-    """Boost on (bits, candidates, positives), at most 2^N_FEATURES rows, then calibrate by pooling adjacent violators."""
+def fit_patterns(counts: list[tuple[int, float, float]], held: list[tuple[int, float, float]] | None = None, rounds: int = 40, depth: int = 3, shrink: float = 0.3) -> PatternModel:
+    """Boost on (bits, candidates, positives), at most 2^N_FEATURES rows, then calibrate by pooling adjacent violators
+    of `held`, counts that the trees have not seen (of `counts` where there are none)."""
     n, pos = sum(c[1] for c in counts), sum(c[2] for c in counts)
     if not n:
         return PatternModel([], -20.0, [])
@@ -190,7 +194,8 @@ def fit_patterns(counts: list[tuple[int, float, float]], rounds: int = 40, depth
                 node = node[2] if b >> node[0] & 1 else node[1]
             score[b] += node
     pools: list[list[float]] = []
-    for m, c, p in sorted((score[b], c, p) for b, c, p in counts):
+    grown = PatternModel(trees, prior, [])
+    for m, c, p in sorted((grown.margin(b), c, p) for b, c, p in held or counts):
         pools.append([m, c, p])
         while len(pools) > 1 and pools[-2][2] * pools[-1][1] >= pools[-1][2] * pools[-2][1]:
             last = pools.pop()
@@ -224,6 +229,8 @@ def labelled_samples(n: int = SAMPLES, seed: int = SEED) -> list[tuple[str, int]
         (1, lambda: any_of() + spelled()),
         (1, lambda: any_of() + national()),
         (1, lambda: cue() + r.choice([national(), digits(r.randint(9, 11))])),
+        (1, lambda: r.choice(["ssn ", "SSN: ", "social security number ", "my SSN is "]) + f"{digits(3)}-{digits(2)}-{digits(4)}"),
+        (0, lambda: plain() + f"{digits(3)}-{digits(2)}-{digits(4)}"),
         (1, lambda: any_of() + f"{word()}é{word()}@{word()}ü{word()}.{r.choice(['de', 'fr', 'es', 'org'])}"),
         (0, lambda: f"{plain()}{word()} ({r.choice(['at', 'AT'])}) {word()}. {word().capitalize()} "),
         (0, lambda: any_of() + date()),
@@ -238,32 +245,38 @@ def labelled_samples(n: int = SAMPLES, seed: int = SEED) -> list[tuple[str, int]
     return [(f"{make()} {word()}", y) for y, make in kinds for _ in range(n)]
 
 
-def _counts(proposals: DataFrame) -> list[tuple[int, int, int]]:
-    """(bits, candidates, positives) of rows (bits, hit) with a label."""
-    rows = proposals.where("x.hit is not null").groupBy("x.bits").agg(F.count("*").alias("n"), F.sum("x.hit").alias("pos")).collect()
-    return sorted((r["bits"], r["n"], r["pos"]) for r in rows)
+def _counts(proposals: DataFrame) -> list[tuple[int, int, int, int]]:
+    """(bits, held out, candidates, positives) of rows (bits, held, hit) with a label."""
+    rows = proposals.where("x.hit is not null").groupBy("x.bits", "x.held").agg(F.count("*").alias("n"), F.sum("x.hit").alias("pos")).collect()
+    return sorted((r["bits"], r["held"], r["n"], r["pos"]) for r in rows)
 
 
 def train(df: DataFrame) -> PatternModel:
-    """One pass over all rows and one over the samples; only pattern counts (at most 8,192 rows) come to the driver."""
+    """One pass over all rows and one over the samples; only pattern counts (at most 2^15 rows) come to the driver."""
     x = candidates(df.select("text")).select("proposals", *[f"base_{k}" for k in BASE]).where(F.size("proposals") > 0)
 
     def label(p: Column) -> Column:
         known_not = _glued(p["before"], p["after"]) | (F.length(F.regexp_replace(p["v"], "[^0-9]", "")) >= 12)
         return F.when(_overlaps(p), F.lit(1).cast("long")).when(known_not, F.lit(0).cast("long"))
 
-    table = _counts(x.select(F.explode(F.transform("proposals", lambda p: F.struct(_pattern(p).alias("bits"), label(p).alias("hit")))).alias("x")))
-    made = json.dumps([{"text": t, "hit": y} for t, y in labelled_samples()])
-    rows = df.sparkSession.range(1).select(F.inline(F.from_json(F.lit(made), "array<struct<text:string,hit:bigint>>")))
-    taught = _counts(candidates(rows).select("hit", F.explode("proposals").alias("p")).select(F.struct(_pattern(F.col("p")).alias("bits"), F.col("hit")).alias("x")))
-    if not table:
-        return fit_patterns(taught)
-    share = min(1.0, sum(n for _, n, _ in taught) / sum(n for _, n, _ in table))
-    total: dict[int, tuple[float, float]] = {b: (n, p) for b, n, p in taught}
-    for b, n, p in table:
-        m, q = total.get(b, (0, 0))
-        total[b] = (m + share * n, q + share * p)
-    return fit_patterns([(b, n, p) for b, (n, p) in sorted(total.items())])
+    def coded(p: Column, hit: Column, held: Column) -> Column:
+        return F.struct(_pattern(p).alias("bits"), held.cast("int").alias("held"), hit.alias("hit"))
+
+    fifth = lambda p: F.pmod(F.xxhash64(p["v"], p["before"]), F.lit(5)) == 0
+    table = _counts(x.select(F.explode(F.transform("proposals", lambda p: coded(p, label(p), fifth(p)))).alias("x")))
+    made = json.dumps([{"text": t, "hit": y, "held": i} for i in (0, 1) for t, y in labelled_samples(seed=SEED + i)])
+    rows = df.sparkSession.range(1).select(F.inline(F.from_json(F.lit(made), "array<struct<text:string,hit:bigint,held:int>>")))
+    taught = _counts(candidates(rows).select("hit", "held", F.explode("proposals").alias("p")).select(coded(F.col("p"), F.col("hit"), F.col("held")).alias("x")))
+    parts: list[list[tuple[int, float, float]]] = []
+    for held in (0, 1):
+        mine, theirs = ([(b, n, p) for b, h, n, p in rows if h == held] for rows in (taught, table))
+        total: dict[int, tuple[float, float]] = {b: (n, p) for b, n, p in mine}
+        share = min(1.0, sum(n for _, n, _ in mine) / max(1, sum(n for _, n, _ in theirs)))
+        for b, n, p in theirs:
+            m, q = total.get(b, (0, 0))
+            total[b] = (m + share * n, q + share * p)
+        parts.append([(b, n, p) for b, (n, p) in sorted(total.items())])
+    return fit_patterns(*parts)
 
 
 def find(df: DataFrame, model: PatternModel, threshold: float = THRESHOLD) -> DataFrame:
@@ -286,7 +299,7 @@ def personal_data(df: DataFrame, model: PatternModel | None = None) -> DataFrame
     """The digest columns of the contract, one row a document."""
     model = model or train(df)
     d = find(df.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), model)
-    return d.select("doc_id", *[f"n_{k}" for k in BASE], F.sha2(written(F.col("p_base")).cast("binary"), 256).alias("base_sha256"), written(F.col("p_spans")).alias("spans"))
+    return fenced(d.select("doc_id", *[f"n_{k}" for k in BASE], F.sha2(written(F.col("p_base")).cast("binary"), 256).alias("base_sha256"), written(F.col("p_spans")).alias("spans")))
 
 
 def redact(df: DataFrame, model: PatternModel | None = None) -> DataFrame:
@@ -304,4 +317,4 @@ def redact(df: DataFrame, model: PatternModel | None = None) -> DataFrame:
     start = F.struct(F.lit(0).alias("at"), F.expr("cast(array() as array<string>)").alias("out"))
     text = F.aggregate("p_spans", start, step, lambda a: F.concat(F.array_join(a["out"], ""), F.substring(t, a["at"] + 1, F.length(t))))
     new = F.when(F.size("p_spans") > 0, text).otherwise(F.col("p_row.text"))
-    return d.select(*[(new.alias("text") if c == "text" else F.col(f"p_row.`{c}`").alias(c)) for c in names])
+    return fenced(d.select(*[(new.alias("text") if c == "text" else F.col(f"p_row.`{c}`").alias(c)) for c in names]))
