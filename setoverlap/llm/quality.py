@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from setoverlap.llm.common import fenced
+
 SPACE = r"[\x20\x09-\x0D]+"
 SYMBOLS = "#*$%&|<>"
 # Frequent function words of the four languages of the corpus.
@@ -98,8 +100,7 @@ def keep_good(df: DataFrame) -> DataFrame:
     """The rows of df, all columns as they are, that pass the rules."""
     names = df.columns
     inner = measure(df.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("q_row"), F.col("text")))
-    # a column that is not deterministic keeps the filter above the projection; pushed below, it would repeat every measure
-    return inner.withColumn("q_id", F.monotonically_increasing_id()).where(~base_rule() & verdict() & (F.col("q_id") >= 0)).select("q_row.*")
+    return fenced(inner).where(~base_rule() & verdict()).select("q_row.*")
 
 
 _W = r"[^\x20\x09-\x0D]+"
@@ -118,5 +119,5 @@ m AS (SELECT w.doc_id, len(ws)::BIGINT AS n_words, coalesce(list_sum(list_transf
 b AS (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_capital_words, n_stop_words, base_failed,
   NOT base_failed AND n_symbols <= 0.30 * n_words AND word_chars >= 2.0 * n_words AND word_chars <= 16.0 * n_words
-  AND n_capital_words <= 0.30 * n_words AND n_dup_lines <= 0.50 * n_lines AS kept FROM b
+  AND n_capital_words <= 0.30 * n_words AND n_dup_lines <= 0.50 * n_lines AND n_stop_words >= 0.02 * n_words AS kept FROM b
 """
