@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setoverlap.llm.common import id_and_text, materialised, small_batches
+from setoverlap.llm.common import discard, id_and_text, materialised, small_batches
 
 SHINGLE = 5
 BANDS, ROWS, SEED = 96, 8, 11
@@ -36,6 +36,8 @@ SIMILAR = (75, 100)
 LEAST_ESTIMATE = 0.57
 #: A key of at most FEW nodes is compared pair by pair; larger ones in blocks of about BLOCK nodes.
 FEW, BLOCK = 16, 1024
+#: A key with more than HOT_ROWS rows and at least one row in HOT_SHARE of all is dealt out over many tasks.
+HOT_ROWS, HOT_SHARE = 64, 1000
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -206,22 +208,39 @@ def within_clusters(nodes: DataFrame, sets: DataFrame) -> DataFrame:
     return rows.groupBy("cluster", "i", "j").applyInPandas(compare, "u long, v long")
 
 
+def join_back(rows: DataFrame, stats: DataFrame, key: str, other: str) -> DataFrame:
+    """rows joined with the statistics of their key (one row a key, with its row count n), hot keys dealt out.
+
+    A key is hot when it has a HOT_SHARE of all rows, so at most HOT_SHARE keys are hot: their list is broadcast, their
+    rows are dealt by `other` over as many salts as there are shuffle partitions, and only their statistics are copied.
+    """
+    spark = rows.sparkSession
+    salts = max(2, min(4096, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    total = stats.agg(F.sum("n")).first()[0] or 0
+    hot = F.broadcast(stats.where((F.col("n") > HOT_ROWS) & (F.col("n") * HOT_SHARE >= total)).select(key, F.lit(True).alias("hot")))
+    dealt = rows.join(hot, key, "left").withColumn("salt", F.when(F.col("hot"), F.pmod(F.xxhash64(other), F.lit(salts)).cast("int")).otherwise(0)).drop("hot")
+    copies = F.when(F.col("hot"), F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+    return dealt.join(stats.join(hot, key, "left").withColumn("salt", F.explode(copies)).drop("hot"), [key, "salt"]).drop("salt")
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, component (its smallest node) for the nodes of undirected links (u, v): alternating star steps.
 
-    Each step is one aggregation (partial minima map side) and one join; tables between steps are written to the shared folder.
+    Each step is one aggregation (partial minima map side) and one join whose hubs are dealt out; tables between steps
+    are written to the shared folder and deleted once the next step stands.
     """
     edges = materialised(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u > v").distinct())
     before = None
     while True:
         # large star: larger neighbours of u hang from the least of u and its neighbours
         ways = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = ways.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = ways.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
+        least = materialised(ways.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n")))
+        large = materialised(join_back(ways.where("v > u"), least, "u", "v").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct())
         # small star: u and its smaller neighbours hang from the least of these
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        hung = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        edges = materialised(hung.unionByName(least.select("u", F.col("m").alias("v"))).where("u > v").distinct())
+        lower = materialised(large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")))
+        hung = join_back(large, lower, "u", "v").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        old, edges = edges, materialised(hung.unionByName(lower.select("u", F.col("m").alias("v"))).where("u > v").distinct())
+        discard(old, least, large, lower)
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == before:
             break
@@ -236,32 +255,32 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     nodes = signed.where("set_key is not null and doc_id is not null").groupBy("set_key").agg(F.min("doc_id").alias("node"))
     nodes = materialised(nodes)
     heads = signed.join(nodes, "set_key").where("doc_id = node").select("node", "keys").dropDuplicates(["node", "keys"])
-    buckets = heads.select("node", F.explode("keys").alias("key"))
-    shared = buckets.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low < high").select("key")
-    buckets = materialised(buckets.join(shared, "key").distinct())
+    keyed = heads.select("node", F.explode("keys").alias("key"))
+    shared = materialised(keyed.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high"), F.count("*").alias("n")).where("low < high"))
+    buckets = materialised(join_back(keyed, shared, "key", "node"))
 
     texts = id_and_text(docs).join(buckets.select(F.col("node").alias("doc_id")).distinct(), "doc_id").dropDuplicates(["doc_id", "text"])
     sets = materialised(full_sets(texts.select("doc_id", "text")))
 
     members = buckets.select("node").distinct()
-    leads = buckets.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high"))
-    near = buckets.join(leads, "key").groupBy("node").agg(*[f(F.when(F.col(c) != F.col("node"), F.col(c))).alias(n) for n, f, c in (("u1", F.min, "low"), ("u2", F.max, "high"))])
+    near = buckets.groupBy("node").agg(*[f(F.when(F.col(c) != F.col("node"), F.col(c))).alias(n) for n, f, c in (("u1", F.min, "low"), ("u2", F.max, "high"))])
     star = near.select("node", F.explode(F.array_distinct(F.filter(F.array("u1", "u2"), lambda x: x.isNotNull()))).alias("u"))
     star = materialised(star.select(F.least("u", "node").alias("u"), F.greatest("u", "node").alias("v")).distinct())
     links = materialised(verified(star, sets))
-    labels = materialised(members.join(components(links), "node", "left").select("node", F.coalesce("component", "node").alias("component")))
+    first = materialised(members.join(components(links), "node", "left").select("node", F.coalesce("component", "node").alias("component")))
 
     # what still crosses components: keys of few nodes pair by pair, keys of many inside blocks of their cluster
-    crowd = buckets.groupBy("key").agg(F.count("*").alias("n"), F.min("node").alias("lead"))
-    hubs = materialised(buckets.join(crowd.where(F.col("n") > FEW), "key").select(F.col("lead").alias("u"), F.col("node").alias("v")).distinct())
+    hubs = materialised(buckets.where(F.col("n") > FEW).select(F.col("low").alias("u"), F.col("node").alias("v")).distinct())
     clusters = materialised(components(hubs).select("node", F.col("component").alias("cluster")))
-    placed = buckets.join(labels, "node").join(clusters, "node", "left")
-    open_ = materialised(placed.join(crowd.where(F.col("n") <= FEW).select("key"), "key").select("key", "node", "component", F.coalesce("cluster", -F.col("node") - 1).alias("cluster")))
+    placed = buckets.where(F.col("n") <= FEW).select("key", "node").join(first, "node").join(clusters, "node", "left")
+    open_ = materialised(placed.select("key", "node", "component", F.coalesce("cluster", -F.col("node") - 1).alias("cluster")))
     other = open_.toDF("key", "v", "v_component", "v_cluster")
     pairs = open_.toDF("key", "u", "u_component", "u_cluster").join(other, "key").where("u < v and u_component != v_component and u_cluster != v_cluster")
     pairs = materialised(pairs.select("u", "v").distinct().join(star, ["u", "v"], "left_anti"))
-    links = links.unionByName(materialised(verified(pairs, sets))).unionByName(materialised(within_clusters(clusters.join(labels, "node"), sets)))
-    labels = materialised(members.join(components(links), "node", "left").select("node", F.coalesce("component", "node").alias("component")))
+    more, blocks = materialised(verified(pairs, sets)), materialised(within_clusters(clusters.join(first, "node"), sets))
+    joined = links.unionByName(more).unionByName(blocks)
+    labels = materialised(members.join(components(joined), "node", "left").select("node", F.coalesce("component", "node").alias("component")))
+    discard(shared, buckets, sets, star, links, first, hubs, clusters, open_, pairs, more, blocks)
 
     named = nodes.join(labels, "node", "left").select("set_key", F.coalesce("component", "node").alias("component"))
     out = signed.select("doc_id", "n_shingles", "set_key").join(named, "set_key", "left")
@@ -271,10 +290,14 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows of docs, all columns, that their class keeps; of repeated rows of one doc_id one stays."""
-    kept = near_duplicates(docs).where("kept").select(F.col("doc_id").alias("n_kept")).distinct()
-    stay = docs.join(kept, docs["doc_id"].cast("long") == F.col("n_kept"), "left_semi").dropDuplicates(["doc_id"])
-    return stay.unionByName(docs.where(F.col("doc_id").isNull()))
+    """The rows of docs, all columns, that their class keeps: those of the class's smallest doc_id, repeated rows once
+    (rows that share this doc_id but not the text all stay), and rows without a doc_id."""
+    names = docs.columns
+    kept = near_duplicates(docs).where("kept and doc_id is not null").select(F.col("doc_id").alias("n_id")).distinct()
+    text = F.md5(F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("n_row"), F.col("doc_id").cast("long").alias("n_id"), text.alias("n_text"))
+    stay = rows.join(kept, "n_id", "left_semi").dropDuplicates(["n_id", "n_text"])
+    return stay.unionByName(rows.where(F.col("n_id").isNull())).select(*[F.col(f"n_row.`{c}`").alias(c) for c in names])
 
 
 ORACLE = r"""
