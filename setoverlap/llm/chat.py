@@ -2,8 +2,9 @@
 
 A turn is written as  ### role:\ntext\n</turn>\n .  Texts go in raw; a deterministic parser reads the
 rendering back, and a turn that does not come back as it was is written again with its control strings
-escaped by a backslash; a conversation that still differs is escaped as a whole. What the query reports is read
-back from the output alone.
+escaped by a backslash; a conversation that still differs is escaped as a whole and read once more, and one that
+would not come back even then fails the job. In roles a backslash, a colon and "<" are always escaped, so that no
+role can close its own head or a turn. What the query reports is read back from the output alone.
 
 Defined cases: null role or text reads as empty; turns are ordered by turn, then role, then text (ties and
 repeated rows stay, null turns come first); rows with a null conv_id form one conversation; an empty table gives
@@ -18,7 +19,7 @@ from pyspark.sql import functions as F
 CONTROL = r"\\|###|</turn>"
 ESCAPED = r"\\(\\|###|</turn>)"
 END = "\n</turn>\n"
-ROLE_CONTROL = r"[\\:]"
+ROLE_CONTROL = r"[\\:<]"
 HEAD = r"(?s)^### ((?:[^\\:]|\\.)*+):\n"
 
 
@@ -59,7 +60,10 @@ def format_conversations(df: DataFrame) -> DataFrame:
 
     got = got.withColumn("first", F.array_join(F.transform("turns", render), ""))
     whole = F.array_join(F.transform("turns", lambda x: render_turn(x["role"], escape(x["text"]))), "")
-    return got.select("conv_id", "turns", F.when(parse(F.col("first")) == F.col("turns"), F.col("first")).otherwise(whole).alias("formatted"))
+    got = got.withColumn("whole", F.when(parse(F.col("first")) != F.col("turns"), whole))
+    wrong = F.raise_error(F.concat(F.lit("conversation does not come back: "), F.col("conv_id").cast("string")))
+    formatted = F.when(F.col("whole").isNull(), F.col("first")).when(parse(F.col("whole")) == F.col("turns"), F.col("whole")).otherwise(wrong)
+    return got.select("conv_id", "turns", formatted.alias("formatted"))
 
 
 def loss_text(turns: Column) -> Column:
