@@ -2,8 +2,10 @@
 
 No piece of such a model holds a word mark after another character, so merges never cross a word's head and a
 text's count is the sum over its pre-tokens (a run of marks with the characters up to the next mark). Tier one is
-a broadcast table of the lengths of the pre-tokens that the vocabulary itself lists, at most its size; misses are
-encoded by the library and kept in a bounded cache of the worker. Nothing is shuffled.
+a broadcast table of the lengths of the corpus's frequent pre-tokens: a first pass over all texts keeps in each partition
+the SUMMARY pre-tokens seen most (counts pruned batch by batch, so memory is bounded), the summaries are added up, and
+the FREQUENT highest are encoded once. The table changes speed, never a count. Misses are encoded by the library and
+kept in a bounded cache of the worker. No pre-token of a text is shuffled: only partitions' summaries are.
 
 Defined cases: null text counts as empty (0 bytes, 0 tokens); repeated rows each get a row; an empty table gives
 an empty result; other columns are not read; a text without blanks is one pre-token, whatever its length.
@@ -13,9 +15,12 @@ from __future__ import annotations
 
 import hashlib
 import re
+from collections import Counter
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from setoverlap.llm.common import id_and_text, small_batches
 
@@ -23,6 +28,8 @@ MARK = "▁"
 CACHE_ROWS = 500_000
 CACHE_CHARS = 64
 LIMIT = 4096
+#: Pre-tokens that a partition's summary holds, that the broadcast table holds, and their longest length.
+SUMMARY, FREQUENT, FREQUENT_CHARS = 4_000, 50_000, 32
 
 
 def _processor(model: bytes):
@@ -31,14 +38,37 @@ def _processor(model: bytes):
     return sentencepiece.SentencePieceProcessor(model_proto=model)
 
 
-def frequent_lengths(model: bytes) -> dict[str, int]:
-    """Pre-token (without its first mark) -> tokens, for those that are pieces of the vocabulary; bounded by its size."""
-    sp = _processor(model)
-    pieces = [sp.id_to_piece(i) for i in range(sp.get_piece_size())]
-    if any(MARK in p.lstrip(MARK) for p in pieces):
+def checked(sp) -> None:
+    """Counts add up over pre-tokens only if no piece crosses a word's head."""
+    if any(MARK in sp.id_to_piece(i).lstrip(MARK) for i in range(sp.get_piece_size())):
         raise ValueError("the model has pieces across words; counts do not add up over pre-tokens")
-    words = [p[1:] for p in pieces if p.startswith(MARK) and not p.startswith(MARK * 2) and len(p) > 1]
-    return dict(zip(words, map(len, sp.encode(words, num_threads=1)), strict=True)) | {"": len(sp.encode(MARK)) if sp.piece_to_id(MARK * 2) == sp.unk_id() else 1}
+
+
+def partition_summary(batches, size: int = SUMMARY) -> Iterator[pa.RecordBatch]:
+    """The `size` pre-tokens that these texts hold most, with counts; never more than 8 * size are kept between batches."""
+    seen: Counter = Counter()
+    for batch in batches:
+        for text in batch.column(1).to_pylist():
+            seen.update(units_of(text))
+        if len(seen) > 8 * size:
+            seen = Counter(dict(seen.most_common(4 * size)))
+    top = [(u, n) for u, n in seen.most_common(size) if n > 1 and len(u) <= FREQUENT_CHARS]
+    yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in top], pa.string()), pa.array([n for _, n in top], pa.int64())], ["unit", "n"])
+
+
+def frequent_units(df: DataFrame, limit: int = FREQUENT) -> list[str]:
+    """The pre-tokens (without their first mark) that the partitions' summaries count most, at most `limit`."""
+    small_batches(df.sparkSession)
+    found = id_and_text(df).mapInArrow(partition_summary, "unit string, n long").groupBy("unit").agg(F.sum("n").alias("n"))
+    return [r["unit"] for r in found.orderBy(F.desc("n"), "unit").limit(limit).collect()]
+
+
+def lengths_of(model: bytes, units: list[str]) -> dict[str, int]:
+    """Tokens of each of these pre-tokens; the mark alone, which the library cannot be given as a word, is always there."""
+    sp = _processor(model)
+    checked(sp)
+    alone = {"": len(sp.encode(MARK)) if sp.piece_to_id(MARK * 2) == sp.unk_id() else 1}
+    return (dict(zip(units, map(len, sp.encode(units, num_threads=1)), strict=True)) if units else {}) | alone
 
 
 class Lengths:
@@ -93,18 +123,19 @@ _WORKER: dict[bytes, Lengths] = {}
 
 def worker_lengths(model: bytes, table: dict[str, int]) -> Lengths:
     """One cache for all tasks of a worker and model."""
-    key = hashlib.sha256(model).digest()
+    key = hashlib.sha256(model).digest() + len(table).to_bytes(8, "big")
     if key not in _WORKER:
         _WORKER.clear()
         _WORKER[key] = Lengths(table, _processor(model))
     return _WORKER[key]
 
 
-def token_counts(df: DataFrame, model_path: str, limit: int = LIMIT) -> DataFrame:
-    """doc_id, n_bytes, n_tokens, over_limit."""
+def token_counts(df: DataFrame, model_path: str, limit: int = LIMIT, frequent: list[str] | None = None) -> DataFrame:
+    """doc_id, n_bytes, n_tokens, over_limit; `frequent` spares the first pass where the pre-tokens are known."""
     with open(model_path, "rb") as f:
         model = f.read()
-    shared = df.sparkSession.sparkContext.broadcast((model, frequent_lengths(model)))
+    units = frequent_units(df) if frequent is None else frequent
+    shared = df.sparkSession.sparkContext.broadcast((model, lengths_of(model, units)))
 
     def run(batches):
         lengths = worker_lengths(*shared.value)
