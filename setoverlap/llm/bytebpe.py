@@ -13,13 +13,17 @@ from __future__ import annotations
 import base64
 import hashlib
 import heapq
+import itertools
 import struct
 from array import array
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StringType, StructField, StructType
 from xxhash import xxh3_64_intdigest
 
-from setoverlap.llm.common import id_and_text, map_rows
+from setoverlap.llm.common import id_and_text, map_rows, small_batches
 
 CACHE_ROWS = 400_000
 CACHE_CHARS = 64
@@ -192,3 +196,27 @@ def encode_ids(df: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
         return row
 
     return map_rows(id_and_text(df), setup, "doc_id long, ids array<int>")
+
+
+def tokenised(df: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
+    """All columns of df but text, then n_tokens, ids, ids_sha256 and decoded_sha256 (replacing columns of these names)."""
+    encoder = shared_encoder(df, ranks_path, pattern)
+    new = {"n_tokens": LongType(), "ids": ArrayType(IntegerType()), "ids_sha256": StringType(), "decoded_sha256": StringType()}
+    names = [c for c in df.columns if c != "text" and c not in new]
+    rows = df.select(F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), F.struct(F.lit(0).alias("_"), *[F.col(f"`{c}`") for c in names]).alias("others"))
+
+    def run(batches):
+        e = encoder()
+        for batch in batches:
+            packed = [e.encode(t) for t in batch.column(0).to_pylist()]
+            flat = pa.Array.from_buffers(pa.int32(), sum(map(len, packed)) // 4, [None, pa.py_buffer(b"".join(packed))])
+            ends = pa.array(itertools.accumulate((len(p) // 4 for p in packed), initial=0), pa.int32())
+            sha = lambda x: hashlib.sha256(x).hexdigest()
+            yield pa.RecordBatch.from_arrays([
+                batch.column(1), pa.array([len(p) // 4 for p in packed], pa.int64()), pa.ListArray.from_arrays(ends, flat),
+                pa.array(map(sha, packed), pa.string()), pa.array((sha(e.decode(p)) for p in packed), pa.string()),
+            ], ["others", *new])
+
+    small_batches(df.sparkSession)
+    schema = StructType([rows.schema["others"], *[StructField(c, k) for c, k in new.items()]])
+    return rows.mapInArrow(run, schema).select(*[F.col(f"others.`{c}`").alias(c) for c in names], *new)
