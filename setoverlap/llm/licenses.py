@@ -1,9 +1,10 @@
 """License scans by a positional rare-token index.
 
-Short passages of well-known licences are templates. Words get an inverse document frequency over the templates;
+Passages of public licences (`license_texts`) are templates. Words get an inverse document frequency over the templates;
 each template's rarest words are posted as word -> (template, position). A file's rare words vote for
-(template, file position - template position), so words of one passage meet on one line of that plane; lines with
-enough votes are scored by the words that agree at the implied places, and their mandatory phrases are verified.
+(template, file position - template position); votes on one line of that plane, or within DRIFT of it, make a candidate.
+Its words are compared in order, the line giving way by up to DRIFT places where a word was put in or left out;
+passages with enough words in place and all their mandatory key phrases count.
 
 Defined cases: null text reads as empty (no words, null places, score 0); repeated rows each get a row; an empty
 table gives an empty result; other columns are not read. Words are found on UTF-8 bytes, where all bytes above
@@ -19,41 +20,38 @@ from collections import Counter, defaultdict
 from pyspark.sql import DataFrame
 
 from setoverlap.llm.common import id_and_text, map_rows
+from setoverlap.llm.license_texts import PASSAGES
 
 WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 # Base phrases with their labels.
 BASE = [("mit", b"mit license"), ("apache", b"apache license"), ("gpl", b"general public license")]
-# Characteristic passages of public licences (label, passage, mandatory key phrase).
-TEMPLATES = [
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files", "hereby granted free of charge"),
-    ("mit", "released under the mit license", "mit license"),
-    ("apache", "licensed under the apache license version 2 0", "apache license version 2 0"),
-    ("apache", "you may not use this file except in compliance with the license", "except in compliance with the license"),
-    ("gpl", "this work is licensed under the gnu general public license version 3", "gnu general public license"),
-    ("gpl", "this program is free software you can redistribute it and or modify it under the terms of the gnu general public license", "gnu general public license"),
-    ("lgpl", "licensed under the terms of the gnu lesser general public license", "gnu lesser general public license"),
-    ("agpl", "licensed under the terms of the gnu affero general public license", "gnu affero general public license"),
-    ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", "source and binary forms"),
-    ("mpl", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla public license"),
-    ("isc", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", "with or without fee"),
-    ("cc-by", "this work is licensed under a creative commons attribution 4 0 international license", "creative commons attribution"),
-    ("cc-by-nc", "licensed under cc by nc 4 0", "cc by nc"),
-    ("unlicense", "this is free and unencumbered software released into the public domain", "unencumbered software released into the public domain"),
-]
-RARE_WORDS = 4
+RARE_WORDS = 6
 LEAST_VOTES = 2
 LEAST_SHARE = 0.6
+DRIFT = 2
 
 
 def words_of(text: str) -> list[bytes]:
     return WORD.findall(text.encode("utf-8", "surrogatepass").lower())
 
 
+def aligned(words: list[bytes], want: list[bytes], start: int) -> tuple[int, int]:
+    """How many of a passage's words stand in order from about `start`, and where the last of them stands."""
+    at, hits, last = start, 0, start
+    for w in want:
+        for d in (0, 1, -1, 2, -2)[: 1 + 2 * DRIFT]:
+            if 0 <= at + d < len(words) and at + d >= last and words[at + d] == w:
+                at, hits, last = at + d, hits + 1, at + d + 1
+                break
+        at += 1
+    return hits, last
+
+
 class RareIndex:
-    def __init__(self, templates=TEMPLATES):
+    def __init__(self, templates=PASSAGES):
         self.labels = [t[0] for t in templates]
         self.words = [words_of(t[1]) for t in templates]
-        self.keys = [words_of(t[2]) for t in templates]
+        self.keys = [[words_of(k) for k in t[2]] for t in templates]
         df = Counter(w for ws in self.words for w in set(ws))
         idf = {w: math.log((1 + len(templates)) / n) for w, n in df.items()}
         self.postings: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
@@ -63,6 +61,16 @@ class RareIndex:
                 if w in rare:
                     self.postings[w].append((t, p))
 
+    def judge(self, words: list[bytes], t: int, start: int) -> float | None:
+        """Share of the passage's words in place, or None where it is too small or a key phrase is missing."""
+        want = self.words[t]
+        hits, end = aligned(words, want, start)
+        if hits < LEAST_SHARE * len(want):
+            return None
+        near = words[max(0, start - DRIFT) : max(end, start + len(want)) + DRIFT]
+        has = all(any(near[k : k + len(key)] == key for k in range(len(near) - len(key) + 1)) for key in self.keys[t])
+        return hits / len(want) if has else None
+
     def find(self, words: list[bytes]) -> list[tuple[float, str, int]]:
         """(share of the passage's words in place, label, start) of each verified passage."""
         votes: Counter = Counter()
@@ -72,13 +80,8 @@ class RareIndex:
                     votes[t, i - p] += 1
         out = []
         for (t, start), n in votes.items():
-            if n < min(LEAST_VOTES, len(self.words[t])):
-                continue
-            want = self.words[t]
-            share = sum(0 <= start + k < len(words) and words[start + k] == w for k, w in enumerate(want)) / len(want)
-            key, low = self.keys[t], max(0, start - 2)
-            near = words[low : max(0, start + len(want) + 2)]
-            if share >= LEAST_SHARE and any(near[k : k + len(key)] == key for k in range(len(near) - len(key) + 1)):
+            near = n + sum(votes.get((t, start + d), 0) for d in range(-DRIFT, DRIFT + 1) if d)
+            if near >= min(LEAST_VOTES, len(self.words[t])) and (share := self.judge(words, t, start)) is not None:
                 out.append((share, self.labels[t], start))
         return out
 
@@ -97,7 +100,7 @@ def base_places(words: list[bytes]) -> tuple[list[int], set[str]]:
     return places, labels
 
 
-def licenses(df: DataFrame, templates=TEMPLATES) -> DataFrame:
+def licenses(df: DataFrame, templates=PASSAGES) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score."""
 
     def setup():
