@@ -1,7 +1,7 @@
 """A corpus pipeline over documents: quality rules, near-duplicates, decontamination, personal data, byte-level BPE.
 
 Each stage takes all rows that the one before it kept, as Parquet, and its decisions take effect: rejected,
-repeated and contaminated documents go, personal data is replaced, texts become token ids.
+repeated and contaminated documents go, personal data is replaced, texts become token ids beside the other columns.
 """
 
 from __future__ import annotations
@@ -31,7 +31,7 @@ def without_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return bytebpe.encode_decode(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    return bytebpe.tokenised(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
 STAGES = [
