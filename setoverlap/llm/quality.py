@@ -93,7 +93,7 @@ def quality_rules(df: DataFrame, thresholds=THRESHOLDS) -> DataFrame:
     """One row a document: the measures, base_failed and kept."""
     m = measure(df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text")))
     m = m.withColumn("base_failed", base_rule())
-    return m.withColumn("kept", ~F.col("base_failed") & verdict(thresholds)).drop("text", "n_lines")
+    return fenced(m.withColumn("kept", ~F.col("base_failed") & verdict(thresholds)).drop("text", "n_lines"))
 
 
 def keep_good(df: DataFrame) -> DataFrame:
