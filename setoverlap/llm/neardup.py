@@ -223,24 +223,35 @@ def join_back(rows: DataFrame, stats: DataFrame, key: str, other: str) -> DataFr
     return dealt.join(stats.join(hot, key, "left").withColumn("salt", F.explode(copies)).drop("hot"), [key, "salt"]).drop("salt")
 
 
+def with_least(edges: DataFrame, cap: bool) -> DataFrame:
+    """edges (u, v) with m, the least v of each u (and u itself where `cap`).
+
+    A hub's edges are dealt by v over as many salts as there are shuffle partitions: minima are taken for each
+    (u, salt), then for each u, and go back to the salts that u has, so no task reads a hub's edges whole.
+    """
+    salts = max(2, min(4096, int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    dealt = edges.withColumn("s", F.pmod(F.xxhash64("v"), F.lit(salts)).cast("int"))
+    part = dealt.groupBy("u", "s").agg(F.min("v").alias("m"))
+    whole = part.groupBy("u").agg(F.min("m").alias("m"), F.collect_set("s").alias("s"))
+    least = F.least("m", "u") if cap else F.col("m")
+    return dealt.join(whole.select("u", least.alias("m"), F.explode("s").alias("s")), ["u", "s"]).select("u", "v", "m")
+
+
 def components(links: DataFrame) -> DataFrame:
     """node, component (its smallest node) for the nodes of undirected links (u, v): alternating star steps.
 
-    Each step is one aggregation (partial minima map side) and one join whose hubs are dealt out; tables between steps
-    are written to the shared folder and deleted once the next step stands.
+    Tables between steps are written to the shared folder and deleted once the next step stands.
     """
     edges = materialised(links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u > v").distinct())
     before = None
     while True:
         # large star: larger neighbours of u hang from the least of u and its neighbours
-        ways = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = materialised(ways.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n")))
-        large = materialised(join_back(ways.where("v > u"), least, "u", "v").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct())
+        ways = with_least(edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))), True)
+        large = ways.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
         # small star: u and its smaller neighbours hang from the least of these
-        lower = materialised(large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")))
-        hung = join_back(large, lower, "u", "v").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        old, edges = edges, materialised(hung.unionByName(lower.select("u", F.col("m").alias("v"))).where("u > v").distinct())
-        discard(old, least, large, lower)
+        hung = with_least(large, False).select(F.explode(F.array("u", "v")).alias("u"), F.col("m").alias("v"))
+        old, edges = edges, materialised(hung.where("u > v").distinct())
+        discard(old)
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == before:
             break
