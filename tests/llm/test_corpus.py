@@ -212,8 +212,7 @@ def test_pipeline_stages(spark, sf):
     good = corpus_pipeline.good_documents(spark, docs, sf)
     assert good.columns == docs.columns
     keep = {r.doc_id for r in quality.quality_rules(docs).where("kept").collect()}
-    assert {r.doc_id for r in good.collect()} == keep
-    assert 0 < corpus_pipeline.run(spark, sf).count() <= len(keep)
+    assert {r.doc_id for r in good.collect()} == keep  # test_pipeline_equals_brute_force runs all stages
 
 
 def test_pii_selects_what_no_base_pattern_matches(spark):
