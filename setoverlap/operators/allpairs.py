@@ -1,30 +1,78 @@
-"""Pairs of many sets: banded candidates over registers instead of a cross product, then statistics per pair."""
+"""Pairs of many sets: banded candidates over registers or exact prefixes instead of a cross product.
+
+Sets that are equal (or have equal sketches) are one class, named by its smallest group: pairs are formed between
+classes, and `members` says which groups a class holds, so copies are never expanded into their pairs.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from setoverlap.operators.pairstats import pair_stats_all
+from setoverlap.operators.registers import pack
+from setoverlap.operators.skew import join_back, pairs_within
+from setoverlap.session import materialised
+
+
+def _digest(values: Column) -> Column:
+    """128 bits of an array of hashes."""
+    return F.md5(F.array_join(F.transform(values, lambda v: v.cast("string")), ",").cast("binary"))
+
+
+def members(rows: DataFrame, group: str, values: str) -> DataFrame:
+    """(member, class): each group's class is the smallest group with the same array of values."""
+    keyed = rows.select(F.col(group).alias("member"), _digest(F.col(values)).alias("d"))
+    first = keyed.groupBy("d").agg(F.min("member").alias("class"), F.count("*").alias("n"))
+    return join_back(keyed, first, ["d"], "member", "n").select("member", "class")
 
 
 def band_candidates(regs: DataFrame, group: str, rows_per_band: int = 4) -> DataFrame:
-    """(x, y), x < y, for groups that agree in all registers of some band; a pair with Jaccard J is found with
-    probability 1 - (1 - J^r)^(m/r). Groups with equal sketches meet through their smallest member only at equal bands."""
-    bands = regs.groupBy(group, F.floor(F.col("k") / rows_per_band).alias("band")).agg(F.hash(F.array_sort(F.collect_list(F.struct("k", "v")))).alias("h1"), F.xxhash64(F.array_sort(F.collect_list(F.struct("k", "v")))).alias("h2"))
-    key = ["band", "h1", "h2"]
-    a, b = bands.withColumnRenamed(group, "x"), bands.withColumnRenamed(group, "y")
-    return a.join(b, key).where("x < y").select("x", "y").distinct()
+    """(x, y), x < y, for classes of equal sketches that agree in all registers of some band; a pair with Jaccard J is
+    found with probability 1 - (1 - J^r)^(m/r)."""
+    keyed = pack(regs, [group]).withColumn("d", _digest(F.col("regs")))
+    one = keyed.groupBy("d").agg(F.min_by("regs", group).alias("regs"), F.min(group).alias("x"))
+    band = lambda i: F.struct(i.alias("band"), F.xxhash64(F.slice("regs", i * rows_per_band + 1, rows_per_band)).alias("h1"), F.hash(F.slice("regs", i * rows_per_band + 1, rows_per_band)).alias("h2"))
+    rows = one.select("x", F.explode(F.transform(F.sequence(F.lit(0), F.floor(F.size("regs") / rows_per_band).cast("int") - 1), band)).alias("b")).select("x", "b.*")
+    return pairs_within(materialised(rows), ["band", "h1", "h2"], "x").select("x", "y").distinct()
 
 
 def similar_pairs(regs: DataFrame, group: str, m: int, family: str = "xxhash64", rows_per_band: int = 4) -> DataFrame:
+    """Pair statistics of the banded candidates."""
     return pair_stats_all(regs, group, m, family, band_candidates(regs, group, rows_per_band))
 
 
 def exact_pair_overlaps(sets: DataFrame, group: str, elem: str) -> DataFrame:
-    """(x, y, card_both, card_any): exact join on elements, the baseline for small inputs."""
+    """(x, y, card_both, card_any) of all pairs that share an element; elements that many groups hold are dealt out in blocks."""
     s = sets.select(group, elem).distinct()
     n = s.groupBy(group).agg(F.count("*").alias("n"))
-    both = s.withColumnRenamed(group, "x").join(s.withColumnRenamed(group, "y"), elem).where("x < y").groupBy("x", "y").agg(F.count("*").alias("card_both"))
+    both = pairs_within(s, [elem], group).groupBy("x", "y").agg(F.count("*").alias("card_both"))
     got = both.join(n.toDF("x", "nx"), "x").join(n.toDF("y", "ny"), "y")
     return got.select("x", "y", "card_both", (F.col("nx") + F.col("ny") - F.col("card_both")).alias("card_any"))
+
+
+def element_arrays(sets: DataFrame, group: str, elem: str) -> DataFrame:
+    """(group, h): each set's distinct elements as 64-bit hashes, those that fewest sets hold first (ties by hash)."""
+    s = sets.select(group, F.xxhash64(elem).alias("e")).distinct()
+    seen = s.groupBy("e").agg(F.count("*").alias("f"))
+    ranked = join_back(s, seen, ["e"], group, "f")
+    return ranked.groupBy(group).agg(F.transform(F.sort_array(F.collect_list(F.struct("f", "e"))), lambda x: x["e"]).alias("h"))
+
+
+def exact_similar_pairs(sets: DataFrame, group: str, elem: str, over: int = 1, under: int = 2) -> DataFrame:
+    """(x, y, card_both, card_any) with card_both / card_any >= over / under, exactly: between classes of equal sets,
+    and (class, member) for each further member.
+
+    Two sets that similar share an element among the first n - ceil(n over / under) + 1 of each, in any order common to
+    all; with the rarest elements first, boilerplate is hardly ever among them and few candidates are compared whole.
+    """
+    arrays = materialised(element_arrays(sets, group, elem))
+    same = members(arrays, group, "h")
+    own = arrays.join(same.where("member = class").select(F.col("member").alias(group)), group, "left_semi")
+    n = F.size("h")
+    prefix = F.slice("h", 1, n - F.ceil(n * over / F.lit(under)).cast("int") + 1)
+    near = pairs_within(materialised(own.select(group, F.explode(prefix).alias("e"))), ["e"], group).select("x", "y").distinct()
+    both = near.join(own.toDF("x", "hx"), "x").join(own.toDF("y", "hy"), "y").where(F.least(F.size("hx"), F.size("hy")) * under >= F.greatest(F.size("hx"), F.size("hy")) * over)
+    both = both.withColumn("card_both", F.size(F.array_intersect("hx", "hy")).cast("long")).withColumn("card_any", F.size("hx") + F.size("hy") - F.col("card_both"))
+    copies = same.where("member != class").join(arrays.withColumnRenamed(group, "member"), "member").select(F.col("class").alias("x"), F.col("member").alias("y"), F.size("h").cast("long").alias("card_both"), F.size("h").cast("long").alias("card_any"))
+    return both.where(F.col("card_both") * under >= F.col("card_any") * over).select("x", "y", "card_both", "card_any").unionByName(copies)

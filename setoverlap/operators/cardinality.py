@@ -59,5 +59,29 @@ def native_theta_intersection(df: DataFrame, elem: str, in_a: Column, in_b: Colu
     return got.select(F.theta_sketch_estimate(F.theta_intersection("a", "b")).alias("card_both"))
 
 
+#: Where a scheme's sizes may come from; the registers themselves are the default and need no second sketch.
+SOURCES = ("registers", "hll", "native_hll", "exact")
+
+
+def pair_cardinalities(df: DataFrame, elem: Column | str, in_a: Column, in_b: Column, source: str, m: int = 1024) -> DataFrame:
+    """One row c_a, c_b, c_any: sizes of two sets and their union from one scan, by log-log registers of our own (the
+    union's are merged from the sides'), by Spark's sketch, or exactly."""
+    elem = F.col(elem) if isinstance(elem, str) else elem
+    rows = df.select(elem.alias("e"), in_a.alias("in_a"), in_b.alias("in_b")).where("e is not null and (in_a or in_b)")
+    side = lambda c: F.when(F.col(c), F.col("e"))
+    if source == "exact":
+        return rows.agg(F.countDistinct(side("in_a")).alias("c_a"), F.countDistinct(side("in_b")).alias("c_b"), F.countDistinct("e").alias("c_any")).select(*[F.col(c).cast("double").alias(c) for c in ("c_a", "c_b", "c_any")])
+    if source == "native_hll":
+        sketches = rows.agg(F.hll_sketch_agg(side("in_a"), 14).alias("a"), F.hll_sketch_agg(side("in_b"), 14).alias("b"))
+        size = lambda c: F.hll_sketch_estimate(c).cast("double")
+        return sketches.select(size(F.col("a")).alias("c_a"), size(F.col("b")).alias("c_b"), size(F.hll_union("a", "b")).alias("c_any"))
+    if source != "hll":
+        raise ValueError(f"source is one of {SOURCES[1:]} (registers need no call)")
+    sides = rows.select("e", F.explode(F.array_compact(F.array(F.when(F.col("in_a"), F.lit("c_a")), F.when(F.col("in_b"), F.lit("c_b"))))).alias("side"))
+    regs = hll_registers(sides, "e", ["side"], m)
+    merged = regs.groupBy("bucket").agg(F.max("rank").alias("rank")).select(F.lit("c_any").alias("side"), "bucket", "rank")
+    return hll_estimate(regs.unionByName(merged), ["side"], m).groupBy().pivot("side", ["c_a", "c_b", "c_any"]).agg(F.first("card_hll"))
+
+
 def exact_cardinality(df: DataFrame, elem: str, by: list[str] | tuple = ()) -> DataFrame:
     return df.groupBy(*by).agg(F.countDistinct(elem).alias("card"))

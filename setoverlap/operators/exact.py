@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from setoverlap.functions.hashing import unit_hash
+
 NAIVE_LIMIT = 10_000
 
 
@@ -25,6 +27,11 @@ def private_part(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.toDF("e").join(b.toDF("e"), "e", "left_anti").agg(F.countDistinct("e").alias("only_a"))
 
 
+def coordinated_sample(df: DataFrame, elem: str, one_in: int, family: str = "xxhash64") -> DataFrame:
+    """Rows of every element whose hash falls into one of `one_in` classes: the same elements on all sides, unlike a row sample."""
+    return df.where(F.pmod(unit_hash(F.col(elem), F.lit(0), family), F.lit(one_in)) == 0)
+
+
 def exact_sizes(df: DataFrame, elem: Column | str, in_a: Column, in_b: Column, by: list[str] | tuple = ()) -> DataFrame:
     """All six sizes out of one scan: side flags for each element, then counts."""
     elem = F.col(elem) if isinstance(elem, str) else elem

@@ -7,6 +7,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from setoverlap.operators import theory
+from setoverlap.operators.pairstats import pair_stats
+from setoverlap.operators.registers import pair_registers
 
 BLOCK = 500
 STATS = "cell int, trial long, size_ratio double, overlap double, a double, m long, k_tie long, k_b long, k_a long, k_b_seen long, k_a_seen long, sum_a double, sum_b double, sum_any double, scale double"
@@ -65,17 +67,55 @@ def simulate_hll(spark: SparkSession, sizes: list[float], m: int, trials: int, s
     return rows.withColumn("rank", F.greatest(F.lit(0), F.ceil(F.log2(F.col("size") / m / -F.ln(1.0 - F.rand(seed)))) + (rank_base - 1)).cast("int"))
 
 
+def hashed_trials(rows: DataFrame, by: list[str], m: int, trials: int) -> DataFrame:
+    """Statistics of real hashing, (by..., trial): function index k of m * trials belongs to trial k div m."""
+    regs = pair_registers(rows, "e", F.col("in_a"), F.col("in_b"), by, m * trials).withColumn("trial", F.floor(F.col("k") / m))
+    return pair_stats(regs, [*by, "trial"], m)
+
+
+def simulate_hashed(spark: SparkSession, ratio: float, overlap: float, a: int, m: int, trials: int) -> DataFrame:
+    """Generated keys, hashed for real: A = [0, a), B = [a - n, a - n + ratio a). Costs keys x m x trials hashes: small a only."""
+    n = int(round(overlap * a))
+    top = a - n + int(round(ratio * a))
+    e = F.col("e")
+    rows = spark.range(max(a, top)).toDF("e").select("e", (e < a).alias("in_a"), ((e >= a - n) & (e < top)).alias("in_b"))
+    return hashed_trials(rows, [], m, trials)
+
+
 def accuracy_table(trials: DataFrame) -> DataFrame:
     """From (scheme, size_ratio, overlap, m, truth, estimate): mean, bias, variance (population), squared error, raw and
     divided by the truth; divided measures are null where the truth is 0."""
-    t = F.col("truth")
     got = trials.groupBy("scheme", "size_ratio", "overlap", "m").agg(F.count("*").alias("trials"), F.first("truth").alias("truth"), F.avg("estimate").alias("mean"), F.var_pop("estimate").alias("var_raw"))
+    return _measures(got)
+
+
+def wide_accuracy(trials: DataFrame, only: tuple = ("inclusion_exclusion", "jaccard_union", "jaccard_sum", "ml")) -> DataFrame:
+    """The same measures from one column a scheme: rows do not multiply before they are aggregated."""
+    aggs = [f(s).alias(f"{s}_{n}") for s in only for n, f in (("mean", F.avg), ("var", F.var_pop))]
+    wide = trials.groupBy("size_ratio", "overlap", "m").agg(F.count("*").alias("trials"), F.first("truth").alias("truth"), *aggs)
+    rows = F.explode(F.array(*[F.struct(F.lit(s).alias("scheme"), F.col(f"{s}_mean").alias("mean"), F.col(f"{s}_var").alias("var_raw")) for s in only]))
+    return _measures(wide.select("size_ratio", "overlap", "m", "trials", "truth", rows.alias("r")).select("r.scheme", "size_ratio", "overlap", "m", "trials", "truth", "r.mean", "r.var_raw"))
+
+
+def _measures(got: DataFrame) -> DataFrame:
+    t = F.col("truth")
     per = lambda x: F.try_divide(x, t)
     bias = F.abs(F.col("mean") - t)
     got = got.withColumns({"bias_norm": per(bias), "var_norm": per(per(F.col("var_raw"))), "mse": bias * bias + F.col("var_raw")})
     return got.withColumns({"rmse": F.sqrt("mse"), "mse_norm": per(per(F.col("mse"))), "rmse_norm": F.sqrt(per(per(F.col("mse"))))})
 
 
+def with_theory(accuracy: DataFrame, a: float) -> DataFrame:
+    """Adds crb_norm (the bound), theory_norm (the scheme's own law) and efficiency (bound over variance), for |A| = a;
+    null where the truth is 0."""
+    x = F.lit(float(a))
+    b, n, m = x * F.col("size_ratio"), F.nullif(x * F.col("overlap"), F.lit(0.0)), F.col("m").cast("double")
+    law = F.when(F.col("scheme") == "inclusion_exclusion", theory.var_scheme1(x, b, n, m)).when(F.col("scheme") == "jaccard_union", theory.var_scheme2(x, b, n, m))
+    law = law.when(F.col("scheme") == "jaccard_sum", theory.var_scheme3(x, b, n, m)).otherwise(theory.crb_intersection(x, b, n, m))
+    crb = F.try_divide(theory.crb_intersection(x, b, n, m), n * n)
+    return accuracy.withColumns({"crb_norm": crb, "theory_norm": F.try_divide(law, n * n), "efficiency": F.try_divide(crb, F.col("var_norm"))})
+
+
 def improvement_table(accuracy: DataFrame) -> DataFrame:
     """Relative variance improvement of ml over each other scheme: (var_i - var_ml) / var_i."""
     wide = accuracy.groupBy("size_ratio", "overlap", "m").pivot("scheme", ["inclusion_exclusion", "jaccard_union", "jaccard_sum", "ml"]).agg(F.first("var_raw"))
@@ -96,5 +136,6 @@ def dominance_check(improvement: DataFrame, slack: float = 0.0) -> DataFrame:
     return improvement.groupBy("scheme", "m").agg(F.bool_and(F.coalesce(F.col("rel_var_improvement") >= -slack, F.lit(True))).alias("dominates"))
 
 
-def coverage(estimates: DataFrame) -> DataFrame:
-    return estimates.agg(F.avg(F.expr("cast(truth between ci_lo and ci_hi as double)")).alias("coverage"))
+def coverage(estimates: DataFrame, by: list[str] | tuple = ()) -> DataFrame:
+    """by..., share of estimates whose interval holds the truth."""
+    return estimates.groupBy(*by).agg(F.avg(F.expr("cast(truth between ci_lo and ci_hi as double)")).alias("coverage"))

@@ -11,6 +11,7 @@ import math
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 def _parts(a, b, n):
@@ -126,6 +127,17 @@ def beta_pdf(x: pd.Series, s: float, t: float) -> pd.Series:
     return x.map(lambda v: math.exp(const + (s - 1) * math.log(v) + (t - 1) * math.log1p(-v)))
 
 
+def log_gamma(x: pd.Series) -> pd.Series:
+    return x.map(math.lgamma)
+
+
+def beta_pdf_column(x: Column, s: Column, t: Column) -> Column:
+    """General beta density; the log-gamma function alone leaves the JVM, in Arrow batches."""
+    lg = F.pandas_udf(log_gamma, DoubleType())
+    const = lg(s + t) - lg(s) - lg(t)
+    return F.exp(const + (s - 1) * F.ln(x) + (t - 1) * F.log1p(-x))
+
+
 def beta_cdf(x: float, s: float, t: float, steps: int = 4000) -> float:
     """By the midpoint rule."""
     return float(beta_pdf(pd.Series([(i + 0.5) * x / steps for i in range(steps)]), s, t).sum() * x / steps)

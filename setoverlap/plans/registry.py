@@ -2,50 +2,28 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from setoverlap.functions import textsets
-from setoverlap.operators import allpairs, cardinality, exact, mle, pairstats, registers, schemes, simulate, theory
-from setoverlap.plans import sql, workloads as w
+from setoverlap.operators import cardinality, exact, mle, pairstats, registers, schemes, simulate, theory
+from setoverlap.plans import experiments, relational, sql, streams, texts, workloads as w  # noqa: F401  (the other chapters of the book)
+from setoverlap.plans.book import ORACLES, QUERIES, query
+from setoverlap.plans.book import rounded as _round
+from setoverlap.plans.workloads import S_FLOWS, S_KEYS, S_RETURN, S_STATUS, S_YEAR
 from setoverlap.sources.tables import load_table
-from setoverlap.streaming import windows
 
 FLAGSHIP = "ml_customers_by_year"
-_Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-_O: dict[str, str] = {}
 M = w.M
 SIZES = ["card_a", "card_b", "card_both"]
 
-S_YEAR = "SELECT o_custkey AS e, year(o_orderdate) = 1995 AS in_a, year(o_orderdate) = 1996 AS in_b FROM orders"
-S_STATUS = "SELECT o_custkey AS e, o_orderstatus = 'F' AS in_a, o_orderstatus = 'O' AS in_b FROM orders"
-S_RETURN = "SELECT l_orderkey AS e, l_returnflag = 'R' AS in_a, l_returnflag = 'A' AS in_b FROM lineitem"
-S_KEYS = "SELECT l_orderkey AS e, true AS in_a, false AS in_b FROM lineitem UNION ALL SELECT o_orderkey, false, true FROM orders"
-S_FLOWS = "SELECT strftime(ts, '%Y-%m-%d') AS day, user_id AS e, event_type = 'click' AS in_a, event_type = 'purchase' AS in_b FROM events"
-
-
-def query(oracle: str | None = None, name: str | None = None):
-    def keep(f):
-        _Q[name or f.__name__] = f
-        if oracle:
-            _O[name or f.__name__] = oracle
-        return f
-
-    return keep
-
 
 def _stats(src: str, by: str = "", m: int = M) -> str:
     return sql.stats(sql.pair_registers(src, m, by), m, by)
 
 
-def _round(df: DataFrame, cols: list[str], keys: list[str] | tuple = (), digits: int = 3) -> DataFrame:
-    return df.select(*keys, *[F.round(c, digits).alias(c) for c in cols])
-
-
 # --- registers -----------------------------------------------------------------------------------------------------
 
 @query(f"SELECT k::INTEGER AS k, min({sql.HASH}) AS v FROM (SELECT o_custkey AS e FROM orders) s, range(16) r(k) GROUP BY k")
@@ -81,21 +59,26 @@ def registers_cube_type(spark, d):
     return registers.cube_registers(_daily(spark, d), ["event_type", "day"])
 
 
-@query(f"SELECT event_type, day, v FROM (SELECT event_type, day, k, min(v) OVER (PARTITION BY event_type, k ORDER BY day) AS v FROM ({_EV}) q) z WHERE k = 0")
+@query(f"SELECT event_type, day, k::INTEGER AS k, min(v) OVER (PARTITION BY event_type, k ORDER BY day) AS v FROM ({_EV}) q")
 def registers_running_union(spark, d):
     run = Window.partitionBy("event_type", "k").orderBy("day").rowsBetween(Window.unboundedPreceding, 0)
-    return _daily(spark, d).where("k = 0").select("event_type", "day", F.min("v").over(run).alias("v"))
+    return _daily(spark, d).select("event_type", "day", "k", F.min("v").over(run).alias("v"))
 
 
-@query()
-def registers_running_union_all(spark, d):
-    """Every register of the running union (registers_running_union, held to its SQL, returns register 0 alone)."""
-    run = Window.partitionBy("event_type", "k").orderBy("day").rowsBetween(Window.unboundedPreceding, 0)
-    return _daily(spark, d).select("event_type", "day", "k", F.min("v").over(run).alias("v"))
+@query("SELECT s AS o_orderstatus, l AS layout, true AS equal FROM (SELECT DISTINCT o_orderstatus AS s FROM orders) x, unnest(['k_hash', 'bucketed']) y(l)")
+def registers_arrow_engine(spark, d):
+    """Registers of the NumPy engine beside those of the SQL engine: all are equal, in both layouts."""
+    rows = load_table(spark, d, "orders").select("o_orderstatus", "o_orderkey")
+    build = lambda layout, engine, v: registers.build_registers(rows, "o_orderkey", ["o_orderstatus"], 256, layout=layout, engine=engine).withColumnsRenamed({"v": v}).withColumn("layout", F.lit(layout))
+    sides = [build("k_hash", e, f"{e}_v").unionByName(build("bucketed", e, f"{e}_v")) for e in ("sql", "arrow")]
+    same = F.coalesce(F.col("sql_v") == F.col("arrow_v"), F.lit(False))
+    both = sides[0].join(sides[1], ["o_orderstatus", "layout", "k"], "full_outer")
+    return both.groupBy("o_orderstatus", "layout").agg(F.bool_and(same).alias("equal"))
 
 
 @query()
-def registers_arrow_engine(spark, d):
+def registers_arrow_customers(spark, d):
+    """The NumPy engine's registers themselves (no SQL has its hash; registers_arrow_engine holds it to the SQL engine)."""
     return registers.build_registers(load_table(spark, d, "orders"), "o_custkey", ["o_orderstatus"], 256, engine="arrow")
 
 
@@ -145,10 +128,10 @@ def score_at_start(spark, d):
     return g.select("share", *[F.round(f"g.{x}", 9).alias(x) for x in ("g_a", "g_b", "g_n")])
 
 
-@query(f"SELECT share, round(k_b / a / a + k_a / (a - n) / (a - n), 10) AS aa, round(k_tie / n / n + k_a / (a - n) / (a - n) + k_b / (b - n) / (b - n), 10) AS nn, round(-k_a / (a - n) / (a - n), 10) AS an FROM ({_AT}) z")
+@query(f"SELECT share, round(k_b / a / a + k_a / (a - n) / (a - n), 10) AS aa, round(k_a / b / b + k_b / (b - n) / (b - n), 10) AS bb, round(k_tie / n / n + k_a / (a - n) / (a - n) + k_b / (b - n) / (b - n), 10) AS nn, round(-k_a / (a - n) / (a - n), 10) AS an, round(-k_b / (b - n) / (b - n), 10) AS bn FROM ({_AT}) z")
 def neg_hessian_at_start(spark, d):
     g = _at(w.stats_of(w.customers_by_year(spark, d))).withColumn("h", mle.neg_hessian(F.col("a"), F.col("b"), F.col("n")))
-    return g.select("share", *[F.round(f"h.{x}", 10).alias(x) for x in ("aa", "nn", "an")])
+    return g.select("share", *[F.round(f"h.{x}", 10).alias(x) for x in ("aa", "bb", "nn", "an", "bn")])
 
 
 def _ml(name: str, src, src_sql: str, by: tuple = (), **kw):
@@ -199,13 +182,6 @@ def ml_supplier_pairs_top20(spark, d):
     return _round(got, ["card_both"], ["x", "y"], 2).orderBy(F.desc("card_both"), "x", "y").limit(20)
 
 
-@query()
-def supplier_pairs_top20_exact(spark, d):
-    """The pairs that share most parts by exact counts (16 registers in ml_supplier_pairs_top20 draw theirs from noise)."""
-    pairs = allpairs.exact_pair_overlaps(load_table(spark, d, "lineitem"), "l_suppkey", "l_partkey")
-    return pairs.select("x", "y", "card_both").orderBy(F.desc("card_both"), "x", "y").limit(20)
-
-
 _CARDS = "m / sum_a AS ca, m / sum_b AS cb, m / sum_any AS cu, 1.0 * k_tie / (k_tie + k_a + k_b) AS j"
 
 
@@ -231,20 +207,6 @@ def ml_intervals_daily(spark, d):
     return _round(mle.estimate_interval(mle.mle_intersection(w.stats_of(w.shared_flows(spark, d), ["day"]))), ["std_err"], ["day"])
 
 
-@query()
-def ml_bucketed_return(spark, d):
-    got = mle.estimate_interval(mle.mle_intersection(w.stats_of(w.orders_by_return(spark, d), m=1024, family="xxhash64", layout="bucketed")))
-    return got.select("card_a", "card_b", "card_both", "std_err", "boundary")
-
-
-@query()
-def alert_flow_jumps(spark, d):
-    """Days whose shared error/click flows differ from the trailing week's mean, in standard errors."""
-    est = mle.estimate_interval(mle.mle_intersection(w.stats_of(w.shared_flows(spark, d, "error", "click"), ["day"], 512, "xxhash64")))
-    before = Window.orderBy("day").rowsBetween(-7, -1)  # one row a day: a report, not the data
-    return est.withColumn("expected", F.avg("card_both").over(before)).select("day", "card_both", "expected", F.try_divide(F.col("card_both") - F.col("expected"), F.col("std_err")).alias("jump"))
-
-
 # --- cardinalities -------------------------------------------------------------------------------------------------------
 
 def _hll_sql(elem: str, tab: str, m: int) -> str:
@@ -284,26 +246,6 @@ def exact_cardinality_users(spark, d):
     return cardinality.exact_cardinality(load_table(spark, d, "events"), "user_id", ["event_type"])
 
 
-@query()
-def native_cardinalities(spark, d):
-    return cardinality.native_cardinality(load_table(spark, d, "orders"), "o_custkey", ["o_orderstatus"])
-
-
-@query()
-def native_theta(spark, d):
-    y = F.year("o_orderdate")
-    return cardinality.native_theta_intersection(load_table(spark, d, "orders"), "o_custkey", y == 1995, y == 1996)
-
-
-@query()
-def schemes_with_hll(spark, d):
-    """Scheme inputs from log-log registers of the two sides and their union (twice the storage: see README)."""
-    m, src = 512, w.customers_by_year(spark, d)
-    sides = src.select("e", F.explode(F.expr("filter(array(if(in_a, 'c_a', null), if(in_b, 'c_b', null), if(in_a or in_b, 'c_any', null)), x -> x is not null)")).alias("side"))
-    cards = cardinality.hll_estimate(cardinality.hll_registers(sides, "e", ["side"], m), ["side"], m).groupBy().pivot("side", ["c_a", "c_b", "c_any"]).agg(F.first("card_hll"))
-    return schemes.estimate_all(w.stats_of(src, m=m, family="xxhash64").crossJoin(F.broadcast(cards)))  # one row each
-
-
 # --- exact baselines and set operations ------------------------------------------------------------------------------------
 
 def _years(spark, d):
@@ -324,15 +266,14 @@ def exact_anti_years(spark, d):
     return exact.private_part(*_years(spark, d))
 
 
-_FLAGS = "SELECT {g}count(*) FILTER (a) AS card_a, count(*) FILTER (b) AS card_b, count(*) FILTER (a AND b) AS card_both, count(*) AS card_any, count(*) FILTER (a AND NOT b) AS only_a, count(*) FILTER (b AND NOT a) AS only_b FROM (SELECT {g}e, bool_or(in_a) AS a, bool_or(in_b) AS b FROM ({s}) q WHERE in_a OR in_b GROUP BY {g}e) z {t}"
 
 
-@query(_FLAGS.format(g="", s=S_RETURN, t=""))
+@query(sql.exact_flags(S_RETURN))
 def exact_flags_return(spark, d):
     return exact.exact_sizes(w.orders_by_return(spark, d), "e", F.col("in_a"), F.col("in_b"))
 
 
-@query(_FLAGS.format(g="day, ", s=S_FLOWS, t="GROUP BY day"))
+@query(sql.exact_flags(S_FLOWS, "day"))
 def exact_flags_daily(spark, d):
     return exact.exact_sizes(w.shared_flows(spark, d), "e", F.col("in_a"), F.col("in_b"), ["day"])
 
@@ -364,7 +305,7 @@ def nation_overlap_region(spark, d):
     return got.groupBy("r_name").agg(F.count_if("c").alias("card_a"), F.count_if("s").alias("card_b"), F.count_if(F.expr("c and s")).alias("card_both"))
 
 
-@query(f"WITH s AS (SELECT p_brand || '|' || p_type AS e, l_returnflag = 'R' AS in_a, l_returnflag <> 'R' AS in_b FROM lineitem JOIN part ON l_partkey = p_partkey) {_FLAGS.format(g='', s='SELECT * FROM s', t='')}")
+@query(f"WITH s AS (SELECT p_brand || '|' || p_type AS e, l_returnflag = 'R' AS in_a, l_returnflag <> 'R' AS in_b FROM lineitem JOIN part ON l_partkey = p_partkey) {sql.exact_flags('SELECT * FROM s')}")
 def brand_type_returns(spark, d):
     j = load_table(spark, d, "lineitem").join(load_table(spark, d, "part"), F.col("l_partkey") == F.col("p_partkey"))
     return exact.exact_sizes(j, F.concat_ws("|", "p_brand", "p_type"), F.col("l_returnflag") == "R", F.col("l_returnflag") != "R")
@@ -430,235 +371,9 @@ def theory_pieces(spark, d):
     return _abn(spark, 2.0).select("size_ratio", "overlap", F.round(theory.var_card_sum(a, b, n, m) * m / a / a, 6).alias("var_sum"), F.round(theory.var_jaccard_ratio(j, m) * m, 9).alias("var_ratio"), F.round(theory.cov_card_card(a, b, n, m) * m / a / a, 6).alias("cov_ab"))
 
 
-# --- experiments ---------------------------------------------------------------------------------------------------------------
-
-def _controlled_rows(spark, d, overlaps):
-    """Key ranges sized by the table: a is the largest power of ten that fits 11 times."""
-    n = load_table(spark, d, "orders").count()
-    a = 10 ** (len(str(max(n // 11, 1))) - 1)
-    k = F.col("e")
-    cells = [(f, o, int(round(o * a))) for f in (1, 5, 10) for o in overlaps]
-    one = load_table(spark, d, "orders").select(F.col("o_orderkey").alias("e"))
-    cell = F.explode(F.array(*[F.struct(F.lit(float(f)).alias("size_ratio"), F.lit(float(o)).alias("overlap"), (k < a).alias("in_a"), ((k >= a - t) & (k < a - t + f * a)).alias("in_b")) for f, o, t in cells]))
-    return one.where(k < 11 * a).select(k, cell.alias("c")).select("e", "c.*"), a
-
-
-_CTL = "WITH z AS (SELECT pow(10, length((greatest(count(*) // 11, 1))::VARCHAR) - 1)::BIGINT AS a FROM orders), c AS (SELECT f, o, a, round(o * a)::BIGINT AS t FROM z, unnest([1, 5, 10]) x(f), unnest([0.0, 0.1, 0.5, 0.9, 1.0]) y(o)) SELECT f::DOUBLE AS size_ratio, o::DOUBLE AS overlap, o_orderkey AS e, o_orderkey < a AS in_a, o_orderkey >= a - t AND o_orderkey < a - t + f * a AS in_b FROM orders, c WHERE o_orderkey < 11 * a"
-
-
-@query(sql.rounded(sql.newton(_stats(_CTL, "size_ratio, overlap"), "size_ratio, overlap"), SIZES, ("size_ratio", "overlap"), 2))
-def controlled_overlap_orders(spark, d):
-    rows, _ = _controlled_rows(spark, d, (0.0, 0.1, 0.5, 0.9, 1.0))
-    return _round(mle.mle_intersection(w.stats_of(rows, ["size_ratio", "overlap"])), SIZES, ["size_ratio", "overlap"], 2)
-
-
-def _table_trials(spark, d, replicates: int = 20, m: int = 64):
-    """Real hashing with disjoint function blocks as trials: function index k belongs to trial k div m."""
-    rows, a = _controlled_rows(spark, d, (0.1, 0.5, 0.9))
-    by = ["size_ratio", "overlap"]
-    regs = registers.pair_registers(rows, "e", F.col("in_a"), F.col("in_b"), by, m * replicates).withColumn("trial", F.floor(F.col("k") / m))
-    stats = pairstats.pair_stats(regs, [*by, "trial"], m)
-    return schemes.estimate_all(stats, [*by, "trial", "m"]).withColumn("truth", F.col("overlap") * a)
-
-
-@query()
-def accuracy_controlled(spark, d):
-    return simulate.accuracy_table(_table_trials(spark, d))
-
-
-@query()
-def improvement_controlled(spark, d):
-    return simulate.improvement_table(simulate.accuracy_table(_table_trials(spark, d)))
-
-
-def simulated_accuracy(spark, ratios, overlaps, ms, trials, seed=1) -> DataFrame:
-    grid = simulate.experiment_grid(spark, ratios, overlaps, ms)
-    est = schemes.estimate_all(simulate.simulate_stats(grid, trials, seed), ["size_ratio", "overlap", "m", "a"])
-    return simulate.accuracy_table(est.withColumn("truth", F.col("overlap") * F.col("a")))
-
-
-#: The whole experiment: trials for each cell, and all overlaps.
-TRIALS, STEPS = 10_000, [i / 100 for i in range(101)]
-
-
-@query()
-def fig1_bias(spark, d):
-    return simulated_accuracy(spark, (1.0,), STEPS, (1000, 10000), TRIALS).where("scheme = 'ml'").select("size_ratio", "overlap", "m", "bias_norm")
-
-
-@query()
-def fig2_variance(spark, d):
-    return simulated_accuracy(spark, (1.0, 5.0, 10.0), STEPS, (100, 500, 1000, 10000), TRIALS).where("scheme = 'ml'").select("size_ratio", "overlap", "m", "var_norm")
-
-
-@query()
-def fig3_improvement(spark, d):
-    return simulate.improvement_table(simulated_accuracy(spark, (1.0, 5.0, 10.0), STEPS, (1000, 10000), TRIALS))
-
-
-@query("SELECT s AS scheme, 1000::BIGINT AS m, true AS dominates FROM unnest(['inclusion_exclusion', 'jaccard_union', 'jaccard_sum']) x(s)")
-def ml_dominates(spark, d):
-    """Over overlaps up to .9 with 2,000 trials a cell; slack of 4 standard errors of a variance ratio."""
-    acc = simulated_accuracy(spark, (1.0, 5.0, 10.0), [0.1, 0.3, 0.5, 0.7, 0.9], (1000,), 2000, 3)
-    return simulate.dominance_check(simulate.improvement_table(acc), 0.13)
-
-
-@query("SELECT true AS within_four_sigma")
-def simulators_agree(spark, d):
-    """Register-level and statistic-level draws have the same mean tie count and union energy."""
-    grid = simulate.experiment_grid(spark, (5.0,), (0.5,), (200,))
-    one = lambda x: x.agg(F.avg("k_tie").alias("t"), F.var_samp("k_tie").alias("tv"), F.avg(F.col("sum_any") * F.col("a")).alias("u"), F.var_samp(F.col("sum_any") * F.col("a")).alias("uv"), F.count("*").alias("c"))
-    x, y = one(simulate.simulate_registers(grid, 400)), one(simulate.simulate_stats(grid, 4000))
-    both = x.toDF(*[f"x{c}" for c in x.columns]).crossJoin(y)  # one row each
-    near = lambda s: F.abs(F.col(f"x{s}") - F.col(s)) <= 4 * F.sqrt(F.col(f"x{s}v") / F.col("xc") + F.col(f"{s}v") / F.col("c"))
-    return both.select((near("t") & near("u")).alias("within_four_sigma"))
-
-
-@query()
-def hll_accuracy_simulated(spark, d):
-    m = 256
-    got = cardinality.hll_estimate(simulate.simulate_hll(spark, [1e5, 1e6], m, 100), ["size", "trial"], m)
-    return got.groupBy("size").agg((F.avg("card_hll") / F.first("size")).alias("ratio"), (F.var_pop("card_hll") * m / F.first("size") / F.first("size")).alias("var_times_m"))
-
-
-# --- text workloads ----------------------------------------------------------------------------------------------------------------
-
-_SH = r"SELECT DISTINCT doc_id, array_to_string(ws[i : i + 4], ' ') AS e FROM (SELECT doc_id, string_split_regex(lower(trim(text)), '\s+') AS ws FROM documents) q, unnest(range(1, greatest(len(ws) - 3, 2))) u(i)"
-
-
-@query(f"WITH s AS ({_SH}), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1), p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM s a JOIN s b ON a.e = b.e AND a.doc_id < b.doc_id GROUP BY 1, 2) SELECT x, y, c AS card_both, h.n + k.n - c AS card_any FROM p JOIN n h ON h.doc_id = x JOIN n k ON k.doc_id = y WHERE 2 * c >= h.n + k.n - c")
-def doc_near_duplicates_exact(spark, d):
-    return allpairs.exact_pair_overlaps(w.document_shingles(spark, d), "doc_id", "e").where("2 * card_both >= card_any")
-
-
-#: 32 bands of 2 of the 64 registers: a pair at Jaccard .5 becomes a candidate with probability .9999.
-BAND = 2
-
-
-@query()
-def doc_near_duplicates_ml(spark, d):
-    regs = registers.build_registers(w.document_shingles(spark, d), "e", ["doc_id"], 64)
-    got = mle.mle_intersection(allpairs.similar_pairs(regs, "doc_id", 64, rows_per_band=BAND))
-    return got.where("jaccard >= 0.5").select("x", "y", "card_both", "jaccard")
-
-
-@query()
-def doc_banding_candidates(spark, d):
-    regs = registers.build_registers(w.document_shingles(spark, d), "e", ["doc_id"], 64)
-    return allpairs.band_candidates(regs, "doc_id", BAND)
-
-
-_BSH = _SH.replace("documents", "benchmark").replace("doc_id", "item_id")
-
-
-@query(f"WITH s AS ({_SH}), b AS ({_BSH}), n AS (SELECT item_id, count(*) AS n FROM b GROUP BY 1) SELECT item_id, doc_id, count(*) AS card_both, any_value(n.n) AS card_a FROM b JOIN s USING (e) JOIN n USING (item_id) GROUP BY 1, 2 HAVING 2 * count(*) >= any_value(n.n)")
-def benchmark_containment(spark, d):
-    items = load_table(spark, d, "benchmark").select("item_id", F.explode(textsets.shingles(F.col("text"))).alias("e"))
-    n = items.groupBy("item_id").agg(F.count("*").alias("card_a"))
-    got = items.join(w.document_shingles(spark, d), "e").groupBy("item_id", "doc_id").agg(F.count("*").alias("card_both"))
-    return got.join(n, "item_id").where("2 * card_both >= card_a").select("item_id", "doc_id", "card_both", "card_a")
-
-
-def _labelled(spark, d, label):
-    docs = load_table(spark, d, "documents").join(load_table(spark, d, "labels"), "doc_id")
-    words = docs.select(F.explode(F.array_distinct(textsets.words(F.col("text")))).alias("e"), (F.col(label) == 0).alias("in_a"), (F.col(label) == 1).alias("in_b"))
-    return exact.exact_sizes(words, "e", F.col("in_a"), F.col("in_b"))
-
-
-for _lab in ("quality", "toxic"):
-    def _run(spark, d, lab=_lab):
-        return _labelled(spark, d, lab)
-
-    query(_FLAGS.format(g="", t="", s=rf"SELECT unnest(string_split_regex(lower(text), '\s+')) AS e, {_lab} = 0 AS in_a, {_lab} = 1 AS in_b FROM documents JOIN labels USING (doc_id)"), f"label_vocab_overlap_{_lab}")(_run)
-
-
-@query("WITH s AS (SELECT DISTINCT source AS g, trim(unnest(string_split(text, chr(10)))) AS e FROM documents) SELECT a.g AS x, b.g AS y, count(*) AS card_both FROM s a JOIN s b ON a.e = b.e AND a.g < b.g WHERE a.e <> '' GROUP BY 1, 2")
-def line_boilerplate_sources(spark, d):
-    s = load_table(spark, d, "documents").select("source", F.explode(textsets.lines(F.col("text"))).alias("e"))
-    return allpairs.exact_pair_overlaps(s, "source", "e").select("x", "y", "card_both")
-
-
-@query(rf"SELECT lang, count(DISTINCT e) AS card FROM (SELECT lang, unnest(string_split_regex(lower(text), '\s+')) AS e FROM documents) q GROUP BY 1")
-def vocabulary_sizes(spark, d):
-    return cardinality.exact_cardinality(w.language_words(spark, d), "e", ["lang"])
-
-
-@query(_FLAGS.format(g="", t="", s=r"SELECT unnest(string_split_regex(lower(text), '\s+')) AS e, role = 'user' AS in_a, role = 'assistant' AS in_b FROM conversations"))
-def role_vocab(spark, d):
-    c = load_table(spark, d, "conversations").select(F.explode(F.array_distinct(textsets.words(F.col("text")))).alias("e"), (F.col("role") == "user").alias("in_a"), (F.col("role") == "assistant").alias("in_b"))
-    return exact.exact_sizes(c, "e", F.col("in_a"), F.col("in_b"))
-
-
-@query(r"SELECT h AS host, count(DISTINCT e) AS card FROM (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS h, unnest(string_split_regex(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '\s+')) AS e FROM pages) q GROUP BY 1")
-def page_host_words(spark, d):
-    p = load_table(spark, d, "pages").select(textsets.host(F.col("url")).alias("host"), F.explode(F.array_distinct(textsets.words(textsets.stripped(F.col("html"))))).alias("e"))
-    return cardinality.exact_cardinality(p, "e", ["host"])
-
-
-@query("SELECT page_id, len(list_distinct(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))) AS n_links FROM pages")
-def page_links(spark, d):
-    return load_table(spark, d, "pages").select("page_id", F.size(textsets.links(F.col("html"))).cast("long").alias("n_links"))
-
-
-_CODE = " + ".join(f"CASE WHEN embedding[{i + 1}] > 0 THEN {1 << i} ELSE 0 END" for i in range(8))
-
-
-@query(f"WITH s AS (SELECT DISTINCT label AS g, {_CODE} AS e FROM embeddings) SELECT a.g AS x, b.g AS y, count(*) AS card_both FROM s a JOIN s b ON a.e = b.e AND a.g < b.g GROUP BY 1, 2")
-def embedding_cells(spark, d):
-    code = F.lit(0)
-    for i in range(8):
-        code = code + F.when(F.get("embedding", F.lit(i)) > 0, 1 << i).otherwise(0)
-    return allpairs.exact_pair_overlaps(load_table(spark, d, "embeddings").select("label", code.alias("e")), "label", "e").select("x", "y", "card_both")
-
-
-@query("SELECT (from_json(props, '{\"k\":\"BIGINT\"}')).k AS k, count(DISTINCT user_id) AS card FROM events GROUP BY 1")
-def users_by_property(spark, d):
-    return cardinality.exact_cardinality(load_table(spark, d, "events").withColumn("k", F.get_json_object("props", "$.k").cast("long")), "user_id", ["k"])
-
-
-# --- streams ------------------------------------------------------------------------------------------------------------------------
-
-def _folder(spark) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    import uuid
-
-    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}" if base else tempfile.mkdtemp(prefix="stream-")
-
-
-def _sides():
-    return F.col("event_type") == "click", F.col("event_type") == "purchase"
-
-
-_LAST = "(SELECT max(strftime(ts, '%Y-%m-%d')) FROM events)"
-
-
-@query(sql.rounded(sql.newton(_stats(S_FLOWS + f" WHERE strftime(ts, '%Y-%m-%d') < {_LAST}", "day"), "day"), ["card_both"], ("day",), 2))
-def stream_daily(spark, d):
-    """Tumbling days in append mode, chained aggregations; the last day stays open and is not emitted."""
-    import uuid
-
-    ev = windows.timed(windows.read_events(spark, d))
-    regs = windows.windowed_registers(ev, "user_id", *_sides(), F.window("ts", "1 day"), M, "md5")
-    got = windows.run_to_table(windows.windowed_stats(regs, "1 day", M, "md5"), f"daily_{uuid.uuid4().hex}", _folder(spark))
-    return _round(mle.mle_intersection(got.withColumn("day", F.date_format("w.start", "yyyy-MM-dd"))), ["card_both"], ["day"], 2)
-
-
-def _windowed(name, window, m=M):
-    @query(None, name)
-    def run(spark, d):
-        ev = load_table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-        est = mle.mle_intersection(windows.batch_windowed_stats(ev, "user_id", *_sides(), window(), m, "md5"))
-        return est.select(F.col("w.start").cast("string").alias("start"), F.col("w.end").cast("string").alias("end"), F.round("card_both", 2).alias("card_both"))
-
-
-_windowed("window_sliding_week", lambda: F.window("ts", "7 days", "1 day"))
-_windowed("window_hourly", lambda: F.window("ts", "1 hour"), 16)
-_windowed("window_session", lambda: F.session_window("ts", "30 minutes"), 16)
-
-
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return dict(_Q)
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(_O)
+    return dict(ORACLES)

@@ -52,3 +52,9 @@ def newton(stats_sql: str, by: str = "", steps: int = 12, start: str = "interior
 
 def rounded(sql: str, cols: list[str], keys: list[str] | tuple = (), digits: int = 3) -> str:
     return f"SELECT {', '.join([*keys, *[f'round({c}, {digits}) AS {c}' for c in cols]])} FROM ({sql}) z"
+
+
+def exact_flags(src: str, by: str = "") -> str:
+    """by..., the six exact sizes of a query giving by..., e, in_a, in_b."""
+    g, t = (f"{by}, ", f"GROUP BY {by}") if by else ("", "")
+    return f"SELECT {g}count(*) FILTER (a) AS card_a, count(*) FILTER (b) AS card_b, count(*) FILTER (a AND b) AS card_both, count(*) AS card_any, count(*) FILTER (a AND NOT b) AS only_a, count(*) FILTER (b AND NOT a) AS only_b FROM (SELECT {g}e, bool_or(in_a) AS a, bool_or(in_b) AS b FROM ({src}) q WHERE in_a OR in_b GROUP BY {g}e) z {t}"

@@ -6,11 +6,18 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from setoverlap.functions import textsets
-from setoverlap.operators import pairstats, registers
+from setoverlap.operators import exact, pairstats, registers
 from setoverlap.sources.tables import load_table
 
 M = 64
 
+# SQL of the same rows as the functions below: elements and their sides.
+S_YEAR = "SELECT o_custkey AS e, year(o_orderdate) = 1995 AS in_a, year(o_orderdate) = 1996 AS in_b FROM orders"
+S_STATUS = "SELECT o_custkey AS e, o_orderstatus = 'F' AS in_a, o_orderstatus = 'O' AS in_b FROM orders"
+S_RETURN = "SELECT l_orderkey AS e, l_returnflag = 'R' AS in_a, l_returnflag = 'A' AS in_b FROM lineitem"
+S_KEYS = "SELECT l_orderkey AS e, true AS in_a, false AS in_b FROM lineitem UNION ALL SELECT o_orderkey, false, true FROM orders"
+S_FLOWS = "SELECT strftime(ts, '%Y-%m-%d') AS day, user_id AS e, event_type = 'click' AS in_a, event_type = 'purchase' AS in_b FROM events"
+
 
 def customers_by_year(spark: SparkSession, d: str) -> DataFrame:
     y = F.year("o_orderdate")
@@ -48,6 +55,10 @@ def stats_of(df: DataFrame, by: list[str] | tuple = (), m: int = M, family: str
     return pairstats.pair_stats(registers.pair_registers(df, "e", F.col("in_a"), F.col("in_b"), by, m, family, 0, layout), by, m, family, layout)
 
 
+def exact_of(df: DataFrame, by: list[str] | tuple = ()) -> DataFrame:
+    return exact.exact_sizes(df, "e", F.col("in_a"), F.col("in_b"), by)
+
+
 def language_words(spark: SparkSession, d: str) -> DataFrame:
     return load_table(spark, d, "documents").select("lang", F.explode(F.array_distinct(textsets.words(F.col("text")))).alias("e"))
 
