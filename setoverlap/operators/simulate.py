@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from setoverlap.operators import theory
+from setoverlap.operators.mle import fit_arrays
 from setoverlap.operators.pairstats import pair_stats
 from setoverlap.operators.registers import pair_registers
 
@@ -22,30 +24,64 @@ def experiment_grid(spark: SparkSession, ratios=(1.0, 5.0, 10.0), overlaps=None,
     return spark.createDataFrame([(i, float(f), float(o), int(m), float(a)) for i, (f, o, m) in enumerate(cells)], "cell int, size_ratio double, overlap double, m long, a double")
 
 
+def _draw(r: dict, trials: int, seed: int) -> dict:
+    """Statistics of one block of trials straight from their law: multinomial case counts, gamma sums. The generator is
+    seeded by (seed, cell, block), so trials do not depend on how blocks are dealt out."""
+    g = np.random.default_rng([seed, r["cell"], r["block"]])
+    size = min(BLOCK, trials - r["block"] * BLOCK)
+    a, b, n, m = r["a"], r["a"] * r["size_ratio"], r["a"] * r["overlap"], r["m"]
+    u = a + b - n
+    k = g.multinomial(m, [n / u, (b - n) / u, max(0.0, 1 - n / u - (b - n) / u)], size)
+    su = g.gamma(m, 1.0, size) / u
+    sa, sb = su + g.standard_gamma(k[:, 1]) / a, su + g.standard_gamma(k[:, 2]) / b
+    return {"k_tie": k[:, 0], "k_b": k[:, 1], "k_a": k[:, 2], "k_b_seen": k[:, 1], "k_a_seen": k[:, 2], "sum_a": sa, "sum_b": sb, "sum_any": su}
+
+
+def _blocks(grid: DataFrame, trials: int) -> DataFrame:
+    return grid.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit((trials - 1) // BLOCK)))).repartition("cell", "block")
+
+
 def simulate_stats(grid: DataFrame, trials: int, seed: int = 1) -> DataFrame:
-    """Statistics of each trial straight from their law: multinomial case counts, gamma sums. The generator is seeded by
-    (seed, cell, block), so rows do not depend on how they are dealt out."""
-    blocks = grid.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit((trials - 1) // BLOCK))))
+    """One row a trial: its statistics, drawn block by block."""
+    names = [x.split()[0] for x in STATS.split(", ")]
+    kinds = [{"int": pa.int32(), "long": pa.int64(), "double": pa.float64()}[x.split()[1]] for x in STATS.split(", ")]
 
     def run(batches):
-        import numpy as np
+        for batch in batches:
+            for r in batch.to_pylist():
+                got = _draw(r, trials, seed)
+                size = len(got["k_tie"])
+                got |= {c: np.full(size, r[c]) for c in ("cell", "size_ratio", "overlap", "a", "m")} | {"trial": r["block"] * BLOCK + np.arange(size), "scale": np.ones(size)}
+                yield pa.RecordBatch.from_arrays([pa.array(got[c]).cast(t) for c, t in zip(names, kinds, strict=True)], names)
 
+    return _blocks(grid, trials).mapInArrow(run, STATS)
+
+
+def simulate_accuracy(grid: DataFrame, trials: int, seed: int = 1, only: tuple = ("inclusion_exclusion", "jaccard_union", "jaccard_sum", "ml")) -> DataFrame:
+    """The accuracy table of the whole experiment without a row a trial: each block of trials is drawn, estimated by all
+    schemes as arrays, and leaves its count, mean and squared deviations, which are added up. Same draws and estimates
+    as simulate_stats and estimate_wide."""
+    out = "scheme string, size_ratio double, overlap double, m long, truth double, n long, mean double, squares double"
+
+    def run(batches):
         for batch in batches:
+            rows = []
             for r in batch.to_pylist():
-                g = np.random.default_rng([seed, r["cell"], r["block"]])
-                size = min(BLOCK, trials - r["block"] * BLOCK)
-                a, b, n, m = r["a"], r["a"] * r["size_ratio"], r["a"] * r["overlap"], r["m"]
-                u = a + b - n
-                k = g.multinomial(m, [n / u, (b - n) / u, max(0.0, 1 - n / u - (b - n) / u)], size)
-                su = g.gamma(m, 1.0, size) / u
-                sa, sb = su + g.standard_gamma(k[:, 1]) / a, su + g.standard_gamma(k[:, 2]) / b
-                full = lambda x: np.full(size, x)
-                cols = [full(r["cell"]), r["block"] * BLOCK + np.arange(size), full(r["size_ratio"]), full(r["overlap"]), full(a), full(m), k[:, 0], k[:, 1], k[:, 2], k[:, 1], k[:, 2], sa, sb, su, full(1.0)]
-                names = [x.split()[0] for x in STATS.split(", ")]
-                kinds = [{"int": pa.int32(), "long": pa.int64(), "double": pa.float64()}[x.split()[1]] for x in STATS.split(", ")]
-                yield pa.RecordBatch.from_arrays([pa.array(c).cast(t) for c, t in zip(cols, kinds, strict=True)], names)
-
-    return blocks.repartition("cell", "block").mapInArrow(run, STATS)
+                d = _draw(r, trials, seed)
+                m, j = r["m"], d["k_tie"] / r["m"]
+                ca, cb, cu = m / d["sum_a"], m / d["sum_b"], m / d["sum_any"]
+                est = {"inclusion_exclusion": ca + cb - cu, "jaccard_union": j * cu, "jaccard_sum": j / (1 + j) * (ca + cb)}
+                if "ml" in only:
+                    est["ml"] = fit_arrays(*d.values())[2]
+                rows += [(s, r["size_ratio"], r["overlap"], m, r["overlap"] * r["a"], len(j), float(est[s].mean()), float(((est[s] - est[s].mean()) ** 2).sum())) for s in only]
+            names = [x.split()[0] for x in out.split(", ")]
+            yield pa.RecordBatch.from_pylist([dict(zip(names, x, strict=True)) for x in rows], pa.schema([(c, {"string": pa.string(), "double": pa.float64(), "long": pa.int64()}[t]) for c, t in (x.split() for x in out.split(", "))]))
+
+    n, mean = F.col("n"), F.col("mean")
+    got = _blocks(grid, trials).mapInArrow(run, out).groupBy("scheme", "size_ratio", "overlap", "m").agg(
+        F.sum("n").alias("trials"), F.first("truth").alias("truth"), (F.sum(n * mean) / F.sum("n")).alias("mean"), F.sum("squares").alias("inside"), F.sum(n * (mean - F.col("truth")) * (mean - F.col("truth"))).alias("off"))
+    between = F.col("off") - F.col("trials") * (F.col("mean") - F.col("truth")) * (F.col("mean") - F.col("truth"))
+    return _measures(got.withColumn("var_raw", F.greatest((F.col("inside") + between) / F.col("trials"), F.lit(0.0))).drop("inside", "off"))
 
 
 def simulate_registers(grid: DataFrame, trials: int, seed: int = 1) -> DataFrame:
@@ -89,14 +125,6 @@ def accuracy_table(trials: DataFrame) -> DataFrame:
     return _measures(got)
 
 
-def wide_accuracy(trials: DataFrame, only: tuple = ("inclusion_exclusion", "jaccard_union", "jaccard_sum", "ml")) -> DataFrame:
-    """The same measures from one column a scheme: rows do not multiply before they are aggregated."""
-    aggs = [f(s).alias(f"{s}_{n}") for s in only for n, f in (("mean", F.avg), ("var", F.var_pop))]
-    wide = trials.groupBy("size_ratio", "overlap", "m").agg(F.count("*").alias("trials"), F.first("truth").alias("truth"), *aggs)
-    rows = F.explode(F.array(*[F.struct(F.lit(s).alias("scheme"), F.col(f"{s}_mean").alias("mean"), F.col(f"{s}_var").alias("var_raw")) for s in only]))
-    return _measures(wide.select("size_ratio", "overlap", "m", "trials", "truth", rows.alias("r")).select("r.scheme", "size_ratio", "overlap", "m", "trials", "truth", "r.mean", "r.var_raw"))
-
-
 def _measures(got: DataFrame) -> DataFrame:
     t = F.col("truth")
     per = lambda x: F.try_divide(x, t)

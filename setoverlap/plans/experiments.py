@@ -94,10 +94,7 @@ def simulated_hashing_agrees(spark, d):
 # --- the whole grid -----------------------------------------------------------------------------------------------------------------
 
 def simulated_accuracy(spark, ratios, overlaps, ms, trials, seed=1, only: tuple = schemes.SCHEMES) -> DataFrame:
-    grid = simulate.experiment_grid(spark, ratios, overlaps, ms)
-    draws = simulate.simulate_stats(grid, trials, seed)
-    est = schemes.estimate_wide(draws) if set(only) - {"ml"} else mle.mle_intersection(draws).withColumn("ml", F.col("card_both"))
-    return simulate.wide_accuracy(est.withColumn("truth", F.col("overlap") * F.col("a")), only)
+    return simulate.simulate_accuracy(simulate.experiment_grid(spark, ratios, overlaps, ms), trials, seed, only)
 
 
 def _ml_grid(spark, ms):
@@ -184,7 +181,7 @@ _TENTHS = grid_sql((1000,), steps="range(1, 10)", scale=10)
 def interval_coverage(spark, d):
     """Share of 2,000 trials whose 95 % interval holds the truth, in [.93, .97]."""
     grid = simulate.experiment_grid(spark, RATIOS, [i / 10 for i in range(1, 10)], (1000,))
-    est = mle.estimate_interval(mle.mle_intersection(simulate.simulate_stats(grid, 2000, 7))).withColumn("truth", F.col("overlap") * F.col("a"))
+    est = mle.estimate_interval(mle.mle_intersection(simulate.simulate_stats(grid, 2000, 7), engine="arrow")).withColumn("truth", F.col("overlap") * F.col("a"))
     return simulate.coverage(est, CELL).select(*CELL, F.col("coverage").between(0.93, 0.97).alias("covers"))
 
 
@@ -193,8 +190,8 @@ def newton_steps(spark, d):
     """From the interior start every trial of 1,000 converges within ten steps, and three give the size to a thousandth."""
     grid = simulate.experiment_grid(spark, RATIOS, [i / 10 for i in range(1, 10)], (1000,))
     draws = simulate.simulate_stats(grid, 1000, 8)
-    full = mle.mle_intersection(draws)
-    three = mle.mle_intersection(full.withColumnsRenamed({c: f"full_{c}" for c in ("card_a", "card_b", "card_both", "card_any", "only_a", "only_b", "jaccard", "iters", "converged", "boundary", "var_hat")}), iters=3, tol=0.0)
+    full = mle.mle_intersection(draws, engine="arrow")
+    three = mle.mle_intersection(full.withColumnsRenamed({c: f"full_{c}" for c in ("card_a", "card_b", "card_both", "card_any", "only_a", "only_b", "jaccard", "iters", "converged", "boundary", "var_hat")}), iters=3, tol=0.0, engine="arrow")
     inner = three.where("full_boundary is null")
     return inner.groupBy(*CELL).agg((F.max("full_iters") <= 10).alias("ten_steps_suffice"), (F.max(F.abs(F.col("card_both") / F.col("full_card_both") - 1)) <= 1e-3).alias("three_steps_close"))
 
@@ -270,3 +267,19 @@ def schemes_by_card_source(spark, d):
         one = one.select(widest.alias("err"), rows.alias("r")).crossJoin(exact_n).select(F.lit(source).alias("source"), "r.scheme", (F.abs(F.col("r.estimate") - F.col("card_both")) <= 5 * F.col("err") + 2).alias("close"))
         got = one if got is None else got.unionByName(one)
     return got
+
+
+@query("SELECT true AS fits_equal, true AS steps_equal, true AS accuracy_equal")
+def ml_engines_agree(spark, d):
+    """The fold in the row and the array engine: sizes to 1e-9, the same number of steps (one apart at most); the
+    accuracy table by blocks equals the one by rows."""
+    grid = simulate.experiment_grid(spark, (1.0, 10.0), (0.0, 0.01, 0.5, 1.0), (100,))
+    draws = simulate.simulate_stats(grid, 200, 4)
+    keep = lambda df, p: df.select("cell", "trial", F.col("card_both").alias(f"{p}_n"), F.col("iters").alias(f"{p}_i"))
+    both = keep(mle.mle_intersection(draws), "f").join(keep(mle.mle_intersection(draws, engine="arrow"), "g"), ["cell", "trial"])
+    fits = both.agg(F.bool_and(F.abs(F.col("f_n") - F.col("g_n")) <= 1e-9 * F.col("f_n") + 1e-9).alias("fits_equal"), F.bool_and(F.abs(F.col("f_i") - F.col("g_i")) <= 1).alias("steps_equal"))
+    est = schemes.estimate_all(draws, ["size_ratio", "overlap", "m", "a"]).withColumn("truth", F.col("overlap") * F.col("a"))
+    one, two = simulate.accuracy_table(est), simulate.simulate_accuracy(grid, 200, 4)
+    near = lambda c: F.abs(F.col(f"o.{c}") - F.col(f"t.{c}")) <= 1e-6 * F.abs(F.col(f"o.{c}")) + 1e-6
+    joined = one.alias("o").join(two.alias("t"), ["scheme", "size_ratio", "overlap", "m"])
+    return fits.crossJoin(joined.agg((F.bool_and(near("mean") & near("var_raw")) & (F.count("*") == 32)).alias("accuracy_equal")))  # one row each
