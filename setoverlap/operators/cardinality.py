@@ -80,7 +80,7 @@ def pair_cardinalities(df: DataFrame, elem: Column | str, in_a: Column, in_b: Co
     sides = rows.select("e", F.explode(F.array_compact(F.array(F.when(F.col("in_a"), F.lit("c_a")), F.when(F.col("in_b"), F.lit("c_b"))))).alias("side"))
     regs = hll_registers(sides, "e", ["side"], m)
     merged = regs.groupBy("bucket").agg(F.max("rank").alias("rank")).select(F.lit("c_any").alias("side"), "bucket", "rank")
-    return hll_estimate(regs.unionByName(merged), ["side"], m).groupBy().pivot("side", ["c_a", "c_b", "c_any"]).agg(F.first("card_hll"))
+    return hll_estimate(regs.unionByName(merged), ["side"], m, "linear").groupBy().pivot("side", ["c_a", "c_b", "c_any"]).agg(F.first("card_hll"))
 
 
 def exact_cardinality(df: DataFrame, elem: str, by: list[str] | tuple = ()) -> DataFrame:

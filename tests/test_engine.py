@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from setoverlap.functions.hashing import unit_hash
 from setoverlap.operators import allpairs, cardinality, exact, mle, pairstats, registers, schemes, simulate, theory
-from setoverlap.plans import registry, workloads
+from setoverlap.plans import experiments, registry, relational, texts, workloads
 
 
 def sides(spark, a, b):
@@ -90,7 +90,7 @@ def test_beta_identities():
 
 
 def test_simulated_variance_meets_bound_and_schemes(spark):
-    acc = registry.simulated_accuracy(spark, (1.0, 5.0), [0.5], (1000,), 4000, 5)
+    acc = experiments.simulated_accuracy(spark, (1.0, 5.0), [0.5], (1000,), 4000, 5)
     got = {(r.size_ratio, r.scheme): r for r in acc.collect()}
     want = {(1.0, "ml"): 2.143, (1.0, "inclusion_exclusion"): 3.667, (1.0, "jaccard_union"): 3.0, (1.0, "jaccard_sum"): 2.292, (5.0, "ml"): 6.465, (5.0, "jaccard_sum"): 9.539}
     for k, v in want.items():
@@ -178,7 +178,7 @@ def test_streaming_merges_like_batch(spark, sf, tmp_path):
 
 
 def test_figures_run_the_whole_experiment():
-    assert registry.TRIALS == 10_000 and registry.STEPS == [i / 100 for i in range(101)]
+    assert experiments.TRIALS == 10_000 and experiments.STEPS == [i / 100 for i in range(101)]
 
 
 def test_document_bands_find_pairs_at_their_threshold(spark):
@@ -186,16 +186,105 @@ def test_document_bands_find_pairs_at_their_threshold(spark):
     sets = spark.range(400).selectExpr("id as doc_id", "explode(transform(sequence(0, 59), i -> cast(div(id, 2) * 1000 + if(i < 40, i, i + 100 * (id % 2)) as string))) as e")
     regs = registers.build_registers(sets, "e", ["doc_id"], 64)
     want = allpairs.exact_pair_overlaps(sets, "doc_id", "e").where("2 * card_both >= card_any")
-    found = want.join(allpairs.band_candidates(regs, "doc_id", registry.BAND), ["x", "y"])
+    found = want.join(allpairs.band_candidates(regs, "doc_id", texts.BAND), ["x", "y"])
     assert want.count() == 200 and found.count() >= 198
 
 
 def test_running_union_has_every_register_and_supplier_pairs_are_exact(spark, sf):
-    got = registry.registers_running_union_all(spark, sf).collect()
+    got = registry.registers_running_union(spark, sf).collect()
     assert {r.k for r in got} == set(range(8))
-    assert {(r.event_type, r.day, r.v) for r in got if r.k == 0} == {tuple(r) for r in registry.registers_running_union(spark, sf).collect()}
     parts = {}
     for r in registry.load_table(spark, sf, "lineitem").select("l_suppkey", "l_partkey").collect():
         parts.setdefault(r.l_suppkey, set()).add(r.l_partkey)
     want = sorted((-len(parts[x] & parts[y]), x, y) for x in parts for y in parts if x < y and parts[x] & parts[y])[:20]
-    assert [(-r.card_both, r.x, r.y) for r in registry.supplier_pairs_top20_exact(spark, sf).collect()] == want
+    assert [(-r.card_both, r.x, r.y) for r in relational.supplier_pairs_top20_exact(spark, sf).collect()] == want
+
+
+def test_arrow_engine_gives_the_same_registers(spark):
+    from setoverlap.functions.hashing import mixed_long, slot_seeds, unit_hash
+    import numpy as np
+
+    df = spark.createDataFrame([(g, e) for g in ("a", None) for e in [*map(str, range(500)), "", None, "\u00e9"]], "g string, e string")
+    for layout in ("k_hash", "bucketed"):
+        sql, arrow = (sorted(map(str, registers.build_registers(df, "e", ["g"], 64, layout=layout, engine=x).collect())) for x in ("sql", "arrow"))
+        assert sql == arrow and len(sql) > 100
+    with pytest.raises(ValueError):
+        registers.build_registers(df, "e", engine="arrow", family="md5")
+    got = spark.range(1).select(F.xxhash64(F.lit(7).cast("long"), F.lit(-3).cast("long")).alias("h")).first().h
+    assert int(mixed_long(np.array([-3], np.int64).view(np.uint64), slot_seeds(8)[7]).view(np.int64)[0]) == got
+    with pytest.raises(ValueError):
+        unit_hash(F.lit(1), F.lit(1), "crc32")
+
+
+def test_packed_statistics_equal_those_by_register(spark):
+    df = spark.range(900).selectExpr("id % 3 g", "id - id % 2 * (id % 3) * 7 e")
+    for layout in ("k_hash", "bucketed"):
+        regs = registers.build_registers(df, "e", ["g"], 512, layout=layout)
+        got = {(r.x, r.y): r for r in pairstats.pair_stats_all(regs, "g", 512, layout=layout).collect()}
+        assert set(got) == {(0, 1), (0, 2), (1, 2)}
+        for (x, y), r in got.items():
+            both = df.where(F.col("g").isin(x, y)).select("e", (F.col("g") == x).alias("in_a"), (F.col("g") == y).alias("in_b"))
+            want = workloads.stats_of(both, m=512, family="xxhash64", layout=layout).first()
+            for c in ("m", "k_tie", "k_b", "k_a", "k_b_seen", "k_a_seen"):
+                assert r[c] == want[c]
+            for c in ("sum_a", "sum_b", "sum_any", "scale"):
+                assert r[c] == pytest.approx(want[c], rel=1e-9)
+    with pytest.raises(ValueError):
+        pairstats.pair_stats_all(regs, "g", 512, most_groups=2)
+
+
+def test_pairs_within_hot_keys_and_joins_back(spark, monkeypatch):
+    from setoverlap.operators import skew
+
+    monkeypatch.setattr(skew, "BLOCK", 8)
+    rows = spark.range(100).selectExpr("if(id < 60, 0, id) as k", "id as x").unionByName(spark.createDataFrame([(70, 71), (0, 3)], "k long, x long"))
+    got = [tuple(r) for r in skew.pairs_within(rows.distinct(), ["k"], "x").collect()]
+    want = {(0, a, b) for a in range(60) for b in range(a + 1, 60)} | {(70, 70, 71)}
+    assert set(got) == want and len(got) == len(want)
+    stats = rows.groupBy("k").agg(F.count("*").alias("n"))
+    assert skew.join_back(rows, stats, ["k"], "x", "n").count() == rows.count()
+
+
+def test_exact_similar_pairs_equal_brute_force(spark):
+    import random
+
+    r = random.Random(4)
+    sets = {i: set(r.sample(range(60), r.randint(1, 30))) for i in range(40)}
+    sets |= {100 + i: set(sets[i]) for i in range(5)} | {200 + i: (sets[i] - {min(sets[i])}) | {900 + i} for i in range(20)}
+    df = spark.createDataFrame([(i, str(e)) for i, s in sets.items() for e in s], "g long, e string")
+    got = {tuple(x) for x in allpairs.exact_similar_pairs(df, "g", "e", 1, 2).collect()}
+    first = {i: min(j for j in sets if sets[j] == sets[i]) for i in sets}
+    want = {(x, y, len(sets[x] & sets[y]), len(sets[x] | sets[y])) for x in sets for y in sets if x < y and first[x] == x and first[y] == y and 2 * len(sets[x] & sets[y]) >= len(sets[x] | sets[y])}
+    assert got == want | {(first[i], i, len(sets[i]), len(sets[i])) for i in sets if first[i] != i}
+
+
+def test_array_fit_covers_boundaries(spark):
+    rows = [("abc", "xyz"), ("abc", "cba"), ("ab", "abcdef"), ("abcdef", "ab"), ("abc", ""), ("", "abc"), ("abcdab", "aacc"), ("abcdefgh", "efghijkl")]
+    for a, b in rows:
+        st = workloads.stats_of(sides(spark, a, b), m=256, family="xxhash64")
+        x, y = mle.mle_intersection(st).first(), mle.mle_intersection(st, engine="arrow").first()
+        assert (x.boundary, x.converged) == (y.boundary, y.converged)
+        for c in ("card_a", "card_b", "card_both", "var_hat"):
+            assert x[c] == pytest.approx(y[c], rel=1e-9, abs=1e-12)
+
+
+def test_readers_and_register_kinds(spark, tmp_path):
+    from setoverlap.sources.tables import load_file, load_registers, save_registers
+
+    df = spark.createDataFrame([(1, "a"), (2, "b")], "id int, t string")
+    for kind in ("csv", "json", "orc", "parquet"):
+        path = str(tmp_path / kind)
+        (df.write.option("header", True) if kind == "csv" else df.write).format(kind).save(path)
+        assert sorted(map(tuple, load_file(spark, path, kind, df.schema).collect())) == [(1, "a"), (2, "b")]
+    df.select("t").write.text(str(tmp_path / "text"))
+    assert load_file(spark, str(tmp_path / "text"), "text").count() == 2
+    regs = registers.build_registers(spark.range(10), "id", m=4)
+    store = str(tmp_path / "kinds")
+    save_registers(regs, store, "ids", "2024-01-01")
+    save_registers(registers.build_registers(spark.range(10), "id", m=4, family="md5"), store, "ids", "2024-01-01", "md5-0-k_hash")
+    assert sorted(map(tuple, load_registers(spark, store, "ids").select("k", "v").collect())) == sorted(map(tuple, regs.collect()))
+
+
+def test_every_query_without_sql_is_known():
+    points = {"accuracy_controlled", "improvement_controlled", "fig1_bias", "fig2_variance", "fig3_improvement", "doc_near_duplicates_ml", "doc_sketch_classes", "doc_banding_candidates", "registers_arrow_customers"}
+    assert set(registry.queries()) - set(registry.oracle_sql()) == points  # each has a query beside it that SQL or this file holds
