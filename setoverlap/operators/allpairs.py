@@ -44,7 +44,7 @@ def similar_pairs(regs: DataFrame, group: str, m: int, family: str = "xxhash64",
 
 def exact_pair_overlaps(sets: DataFrame, group: str, elem: str) -> DataFrame:
     """(x, y, card_both, card_any) of all pairs that share an element; elements that many groups hold are dealt out in blocks."""
-    s = sets.select(group, elem).distinct()
+    s = materialised(sets.select(group, elem).distinct())
     n = s.groupBy(group).agg(F.count("*").alias("n"))
     both = pairs_within(s, [elem], group).groupBy("x", "y").agg(F.count("*").alias("card_both"))
     got = both.join(n.toDF("x", "nx"), "x").join(n.toDF("y", "ny"), "y")
@@ -53,7 +53,7 @@ def exact_pair_overlaps(sets: DataFrame, group: str, elem: str) -> DataFrame:
 
 def element_arrays(sets: DataFrame, group: str, elem: str) -> DataFrame:
     """(group, h): each set's distinct elements as 64-bit hashes, those that fewest sets hold first (ties by hash)."""
-    s = sets.select(group, F.xxhash64(elem).alias("e")).distinct()
+    s = materialised(sets.select(group, F.xxhash64(elem).alias("e")).distinct())
     seen = s.groupBy("e").agg(F.count("*").alias("f"))
     ranked = join_back(s, seen, ["e"], group, "f")
     return ranked.groupBy(group).agg(F.transform(F.sort_array(F.collect_list(F.struct("f", "e"))), lambda x: x["e"]).alias("h"))
