@@ -1,6 +1,7 @@
 """The worked example, laws and bounds of the methods, boundaries, and equality with exact answers and SQL."""
 
 import math
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
@@ -288,3 +289,32 @@ def test_readers_and_register_kinds(spark, tmp_path):
 def test_every_query_without_sql_is_known():
     points = {"accuracy_controlled", "improvement_controlled", "fig1_bias", "fig2_variance", "fig3_improvement", "doc_near_duplicates_ml", "doc_sketch_classes", "doc_banding_candidates", "registers_arrow_customers"}
     assert set(registry.queries()) - set(registry.oracle_sql()) == points  # each has a query beside it that SQL or this file holds
+
+
+def copied(spark, sf, folder, shifts):
+    """Tables of sf repeated under a folder: {table: {column: shift a copy}}; returns the folder and its copies' count."""
+    copies = 6
+    for table, columns in shifts.items():
+        one = spark.read.parquet(f"{sf}/{table}.parquet")
+        many = one.crossJoin(spark.range(copies).toDF("copy_"))
+        many = many.withColumns({c: (F.col(c) + F.col("copy_") * by).cast(one.schema[c].dataType) for c, by in columns.items()}).drop("copy_")
+        many.coalesce(1).write.parquet(f"{folder}/{table}.parquet")
+    return str(folder)
+
+
+def by_sql(name, folder, *tables):
+    """Rows of a query's SQL over the tables of a folder."""
+    import duckdb
+
+    con = duckdb.connect()
+    for t in tables:
+        path = f"{folder}/{t}.parquet"
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{path if Path(path).is_file() else path + '/*.parquet'}')")
+    return con.sql(registry.oracle_sql()[name]).fetchall()
+
+
+def test_linear_counting_of_more_suppliers_than_buckets(spark, tmp_path):
+    for n in (400, 3000, 20_000):  # empties left, raw estimate above 2.5 m, no bucket empty
+        folder = tmp_path / str(n)
+        spark.range(1, n + 1).toDF("s_suppkey").coalesce(1).write.parquet(f"{folder}/supplier.parquet")
+        assert [tuple(r) for r in registry.queries()["hll_linear_small"](spark, str(folder)).collect()] == by_sql("hll_linear_small", folder, "supplier")
