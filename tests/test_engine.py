@@ -318,3 +318,13 @@ def test_linear_counting_of_more_suppliers_than_buckets(spark, tmp_path):
         folder = tmp_path / str(n)
         spark.range(1, n + 1).toDF("s_suppkey").coalesce(1).write.parquet(f"{folder}/supplier.parquet")
         assert [tuple(r) for r in registry.queries()["hll_linear_small"](spark, str(folder)).collect()] == by_sql("hll_linear_small", folder, "supplier")
+
+
+def test_supplier_pairs_of_more_groups_than_may_be_crossed(spark, tmp_path):
+    rows = {"many": "2100 * 4, id % 2100, (id * 7919 + id div 2100) % 1500", "few_tied": "60 * 3, id % 60, if(id in (7, 67, 60), 500, id)"}
+    for kind, text in rows.items():  # more than MOST_GROUPS suppliers; fewer than 20 pairs that tie at all
+        n, supplier, part = text.split(", ", 2)
+        folder = tmp_path / kind
+        spark.range(eval(n)).selectExpr(f"cast({part} as bigint) l_partkey", f"cast({supplier} as bigint) l_suppkey").coalesce(1).write.parquet(f"{folder}/lineitem.parquet")
+        got = [tuple(r) for r in registry.queries()["ml_supplier_pairs_top20"](spark, str(folder)).collect()]
+        assert got == by_sql("ml_supplier_pairs_top20", folder, "lineitem") and len(got) == 20
