@@ -35,14 +35,14 @@ def _estimates(stats):
     return got.select(F.date_format("w.start", STAMP).alias("start"), F.date_format("w.end", STAMP).alias("end"), F.round("card_both", 2).alias("card_both"))
 
 
-def _from_stream(spark, d, window, m, session=False):
-    regs = windows.windowed_registers(_closed_stream(spark, d), "user_id", *_sides(), window, m, "md5")
+def _from_stream(spark, d, window, m, session=False, over=None):
+    regs = windows.windowed_registers(_closed_stream(spark, d), "user_id", *_sides(), window, m, "md5", over)
     return _estimates(windows.run_to_table(windows.windowed_stats(regs, m, "md5", session)))
 
 
-def _from_table(spark, d, window, m, session=False):
+def _from_table(spark, d, window, m, session=False, over=None):
     ev = load_table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    return _estimates(windows.windowed_stats(windows.windowed_registers(ev, "user_id", *_sides(), window, m, "md5"), m, "md5", session))
+    return _estimates(windows.windowed_stats(windows.windowed_registers(ev, "user_id", *_sides(), window, m, "md5", over), m, "md5", session))
 
 
 _TAGGED = "SELECT ts, user_id AS e, event_type = 'click' AS in_a, event_type = 'purchase' AS in_b FROM events WHERE event_type IN ('click', 'purchase')"
@@ -69,14 +69,16 @@ _SESSION = _windows_sql(f"""SELECT {_text("min(ts) OVER (PARTITION BY s)")} AS "
 
 _KINDS = {
     "daily": (_DAILY, lambda: F.window("ts", "1 day"), M), "hourly": (_HOURLY, lambda: F.window("ts", "1 hour"), SMALL),
-    "sliding": (_SLIDING, lambda: F.window("ts", "7 days", "1 day"), M), "session": (_SESSION, lambda: F.session_window("ts", "30 minutes"), SMALL),
+    "sliding": (_SLIDING, lambda: F.window("ts", "1 day"), M), "session": (_SESSION, lambda: F.session_window("ts", "30 minutes"), SMALL),
 }
+#: Sliding windows out of the panes above.
+_OVER = {"sliding": ("7 days", "1 day")}
 for _kind, (_sql, _window, _m) in _KINDS.items():
-    def _stream(spark, d, window=_window, m=_m, session=_kind == "session"):
-        return _from_stream(spark, d, window(), m, session)
+    def _stream(spark, d, window=_window, m=_m, session=_kind == "session", over=_OVER.get(_kind)):
+        return _from_stream(spark, d, window(), m, session, over)
 
-    def _table(spark, d, window=_window, m=_m, session=_kind == "session"):
-        return _from_table(spark, d, window(), m, session)
+    def _table(spark, d, window=_window, m=_m, session=_kind == "session", over=_OVER.get(_kind)):
+        return _from_table(spark, d, window(), m, session, over)
 
     query(_sql, f"window_{_kind}")(_table)
     if _kind != "hourly":

@@ -26,11 +26,15 @@ def read_events(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) ->
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
 
 
+#: Bytes of a row group of a replayed file: a micro-batch of one file is still read by many tasks.
+ROW_GROUP = 1 << 20
+
+
 def replay(spark: SparkSession, batches: list[DataFrame]) -> DataFrame:
     """A stream that delivers these tables one after the other, each as one micro-batch."""
     path = shared_folder(spark, "replay")
     for b in batches:
-        b.coalesce(1).write.mode("append").parquet(path)  # one file a batch: files are taken in order of their time
+        b.coalesce(1).write.mode("append").option("parquet.block.size", ROW_GROUP).parquet(path)  # one file a batch: files are taken in order of their time
     return spark.readStream.schema(batches[0].schema).option("maxFilesPerTrigger", 1).parquet(path)
 
 
@@ -46,11 +50,16 @@ def timed(df: DataFrame, ts: str = "ts", delay: str = "10 minutes") -> DataFrame
     return df.withColumn(ts, F.col(ts).cast("timestamp")).withWatermark(ts, delay)
 
 
-def windowed_registers(df: DataFrame, elem: str, in_a: Column, in_b: Column, window: Column, m: int, family: str = "xxhash64") -> DataFrame:
-    """(w, k, va, vb); window: F.window(...) or F.session_window(...). Rows of neither side open no window."""
+def windowed_registers(df: DataFrame, elem: str, in_a: Column, in_b: Column, window: Column, m: int, family: str = "xxhash64", over: tuple | None = None) -> DataFrame:
+    """(w, k, va, vb); window: F.window(...) or F.session_window(...). Rows of neither side open no window. over: duration
+    and slide of sliding windows whose panes `window` gives (the slide divides the duration and is the pane's length): a
+    row is hashed once for its pane, and minima of panes, not rows, go to every window that holds them."""
     rows = df.select(window.alias("w"), F.col(elem).alias("e"), in_a.alias("in_a"), in_b.alias("in_b")).where("e is not null and (in_a or in_b)")
     rows = rows.withColumn("e", element_hash(F.col("e"), family)).withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(m - 1)))).withColumn("v", slot_hash(F.col("e"), F.col("k"), family))
-    return rows.groupBy("w", "k").agg(F.min(F.when(F.col("in_a"), F.col("v"))).alias("va"), F.min(F.when(F.col("in_b"), F.col("v"))).alias("vb"))
+    regs = rows.groupBy("w", "k").agg(F.min(F.when(F.col("in_a"), F.col("v"))).alias("va"), F.min(F.when(F.col("in_b"), F.col("v"))).alias("vb"))
+    if over is None:
+        return regs
+    return regs.groupBy(F.window("w", *over).alias("w"), "k").agg(F.min("va").alias("va"), F.min("vb").alias("vb"))
 
 
 def windowed_stats(registers: DataFrame, m: int, family: str = "xxhash64", session: bool = False) -> DataFrame:

@@ -328,3 +328,23 @@ def test_supplier_pairs_of_more_groups_than_may_be_crossed(spark, tmp_path):
         spark.range(eval(n)).selectExpr(f"cast({part} as bigint) l_partkey", f"cast({supplier} as bigint) l_suppkey").coalesce(1).write.parquet(f"{folder}/lineitem.parquet")
         got = [tuple(r) for r in registry.queries()["ml_supplier_pairs_top20"](spark, str(folder)).collect()]
         assert got == by_sql("ml_supplier_pairs_top20", folder, "lineitem") and len(got) == 20
+
+
+def test_sliding_windows_hash_a_row_once_and_batches_are_read_by_many_tasks(spark, tmp_path, monkeypatch):
+    import pyarrow.parquet as pq
+
+    from setoverlap.plans import streams
+    from setoverlap.streaming import windows
+
+    ev = spark.range(4000).selectExpr("cast('2024-01-01' as timestamp) + make_interval(0, 0, 0, 0, 0, 0, id * 400) ts", "id % 900 user_id", "if(id % 2 = 0, 'click', 'purchase') event_type")
+    direct = windows.windowed_registers(ev, "user_id", *streams._sides(), F.window("ts", "7 days", "1 day"), 8)
+    panes = windows.windowed_registers(ev, "user_id", *streams._sides(), F.window("ts", "1 day"), 8, over=("7 days", "1 day"))
+    assert sorted(map(str, direct.collect())) == sorted(map(str, panes.collect()))
+    ev.coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    plan = registry.queries()["window_sliding"](spark, str(tmp_path))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("md5(") > max(plan.find("Expand"), plan.find("Generate explode(array(")) > 0  # hashed below, that is before, rows go to seven windows
+    many = spark.range(600_000).selectExpr("id", "cast(rand(1) as string) x").coalesce(1)
+    monkeypatch.setattr(windows, "shared_folder", lambda *a: str(tmp_path / "replay"))
+    windows.replay(spark, [many])
+    batch = pq.ParquetFile(next((tmp_path / "replay").glob("*.parquet")))
+    assert batch.num_row_groups > 4
