@@ -348,3 +348,19 @@ def test_sliding_windows_hash_a_row_once_and_batches_are_read_by_many_tasks(spar
     windows.replay(spark, [many])
     batch = pq.ParquetFile(next((tmp_path / "replay").glob("*.parquet")))
     assert batch.num_row_groups > 4
+
+
+def test_counted_sizes_are_those_of_the_table(spark, tmp_path):
+    spark.range(3000).where("id % 7 != 0").selectExpr("id o_orderkey").coalesce(1).write.parquet(f"{tmp_path}/orders.parquet")
+    keys = {i for i in range(3000) if i % 7}
+    for r in experiments.counted_grid(spark, str(tmp_path), (0.0, 0.25, 1.0), (64,)).collect():
+        a, b = {k for k in keys if k < 100}, {k for k in keys if 100 - 100 * r.overlap <= k < 100 - 100 * r.overlap + 100 * r.size_ratio}
+        assert (r.a, r.b, r.n) == (len(a), len(b), len(a & b))
+    assert [tuple(r) for r in registry.queries()["case_probabilities"](spark, str(tmp_path)).orderBy("size_ratio", "overlap").collect()] == sorted(by_sql("case_probabilities", tmp_path, "orders"))
+
+
+@pytest.mark.parametrize("name", [
+    "case_probabilities",
+])
+def test_experiments_read_a_given_table(spark, sf, name):
+    assert "Relation [o_orderkey" in registry.queries()[name](spark, sf)._jdf.queryExecution().analyzed().toString()
