@@ -364,3 +364,9 @@ def test_counted_sizes_are_those_of_the_table(spark, tmp_path):
 ])
 def test_experiments_read_a_given_table(spark, sf, name):
     assert "Relation [o_orderkey" in registry.queries()[name](spark, sf)._jdf.queryExecution().analyzed().toString()
+
+
+def test_nested_scan_reads_the_orders(spark, sf):
+    frame = registry.queries()["exact_naive_worked_example"](spark, sf)
+    assert "Relation [o_orderkey" in frame._jdf.queryExecution().analyzed().toString()
+    assert [tuple(r) for r in frame.collect()] == by_sql("exact_naive_worked_example", sf, "orders")
