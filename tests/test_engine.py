@@ -370,6 +370,7 @@ def test_counted_sizes_are_those_of_the_table(spark, tmp_path):
     "fig3_improvement_holds",
     "fisher_grid",
     "hll_accuracy_simulated",
+    "interval_coverage",
 ])
 def test_experiments_read_a_given_table(spark, sf, name):
     assert "Relation [o_orderkey" in registry.queries()[name](spark, sf)._jdf.queryExecution().analyzed().toString()
