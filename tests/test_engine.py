@@ -382,7 +382,7 @@ def test_nested_scan_reads_the_orders(spark, sf):
     assert [tuple(r) for r in frame.collect()] == by_sql("exact_naive_worked_example", sf, "orders")
 
 
-def test_exact_document_pairs_write_less_than_the_texts(spark, tmp_path):
+def test_exact_document_pairs_write_less_than_the_texts(spark, tmp_path, monkeypatch):
     """Repeated ids join their sets, and no array of a text without a partner, nor its shingles, is written."""
     import random
 
@@ -390,10 +390,8 @@ def test_exact_document_pairs_write_less_than_the_texts(spark, tmp_path):
     texts = [" ".join(f"w{r.randrange(10**6)}" for _ in range(400)) for _ in range(120)]
     rows = [(i, t) for i, t in enumerate(texts)] + [(200, texts[0]), (201, texts[1] + " one more"), (7, "some other text of the same document id")]
     spark.createDataFrame(rows, "doc_id long, text string").coalesce(1).write.parquet(f"{tmp_path}/documents.parquet")
-    spark.conf.set("spark.checkpoint.dir", f"file://{tmp_path}/shared")
-    try:
-        got = sorted(tuple(x) for x in registry.queries()["doc_near_duplicates_exact"](spark, str(tmp_path)).collect())
-    finally:
-        spark.conf.unset("spark.checkpoint.dir")
+    (tmp_path / "shared").mkdir()
+    monkeypatch.setattr("tempfile.tempdir", str(tmp_path / "shared"))  # where a session without spark.checkpoint.dir writes
+    got = sorted(tuple(x) for x in registry.queries()["doc_near_duplicates_exact"](spark, str(tmp_path)).collect())
     assert got == sorted(by_sql("doc_near_duplicates_exact", tmp_path, "documents")) and len(got) == 2
     assert sum(p.stat().st_size for p in (tmp_path / "shared").rglob("*.parquet")) < sum(len(t) for t in texts) / 4
