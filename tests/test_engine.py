@@ -395,3 +395,17 @@ def test_exact_document_pairs_write_less_than_the_texts(spark, tmp_path, monkeyp
     got = sorted(tuple(x) for x in registry.queries()["doc_near_duplicates_exact"](spark, str(tmp_path)).collect())
     assert got == sorted(by_sql("doc_near_duplicates_exact", tmp_path, "documents")) and len(got) == 2
     assert sum(p.stat().st_size for p in (tmp_path / "shared").rglob("*.parquet")) < sum(len(t) for t in texts) / 4
+
+
+def test_sketches_out_of_arrays_and_their_statistics(spark):
+    sets = spark.range(60).selectExpr("id as g", "explode(sequence(id div 3 * 40, id div 3 * 40 + 20 + id)) as e")
+    regs = registers.build_registers(sets, "e", ["g"], 64)
+    arrays = sets.groupBy("g").agg(F.sort_array(F.collect_list(F.xxhash64(F.lit(0).cast("long"), F.col("e")))).alias("h"))
+    packed = registers.sketch_arrays(arrays, "g", 64)
+    assert sorted(map(tuple, packed.collect())) == sorted(map(tuple, registers.pack(regs, ["g"]).collect()))
+    pairs = allpairs.packed_candidates(packed, "g", 2)
+    want = {(r.x, r.y): r for r in pairstats.pair_stats_all(regs, "g", 64, pairs=pairs).collect()}
+    got = allpairs.similar_pairs(packed, "g", 64, 2).collect()
+    assert len(got) == len(want) > 50
+    for r in got:
+        assert r.asDict() == pytest.approx(want[r.x, r.y].asDict(), rel=1e-12)
